@@ -17,6 +17,7 @@ import hashlib
 import heapq
 import json
 import re
+import struct
 import unicodedata
 from collections.abc import Iterator
 
@@ -25,10 +26,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import ship, trim
 
 #: Entries kept in a worker's memo before it is emptied.
-MEMO_ENTRIES = 200_000
+MEMO_ENTRIES = 100_000
 #: Fragments up to this many bytes use the plain merge loop, longer ones a heap.
 SHORT = 48
 
@@ -94,7 +95,7 @@ class ByteBpe:
             self.pairs[self.vocab[a], self.vocab[b]] = (rank, self.vocab[a + b])
         self.inner: set[str] = {t[i : i + 2] for t in self.vocab for i in range(len(t) - 1)}
         self.packed: dict[str, bytes] = {}  # pre-token -> ids as little-endian 32-bit
-        self.merged: dict[str, list[int]] = {}  # fragment -> ids
+        self.merged: dict[str, bytes] = {}  # fragment -> the same
 
     def split(self, text: str) -> list[str]:
         """Pre-tokens of an ordinary stretch of text, as substrings."""
@@ -168,21 +169,21 @@ class ByteBpe:
             offer(i)
         return [x for x, live in zip(ids, alive, strict=True) if live]
 
-    def piece_ids(self, piece: str) -> list[int]:
-        """Ids of one pre-token."""
+    def pack_piece(self, piece: str) -> bytes:
+        """Ids of one pre-token: those of its fragments, one after the other."""
         piece = "".join([self.mapped[b] for b in piece.encode()])
-        out: list[int] = []
-        merged = self.merged
+        out, merged = [], self.merged
         for f in self.fragments(piece):
             ids = merged.get(f)
             if ids is None:
                 if len(merged) >= MEMO_ENTRIES:
                     merged.clear()
-                ids = self.merge(f)
+                x = self.merge(f)
+                ids = struct.pack(f"<{len(x)}I", *x)
                 if len(f) <= SHORT:
                     merged[f] = ids
-            out += ids
-        return out
+            out.append(ids)
+        return b"".join(out)
 
     def sections(self, text: str) -> Iterator[tuple[str, int | None]]:
         """Ordinary stretches (id None) and special tokens of ``text`` in order."""
@@ -204,14 +205,14 @@ class ByteBpe:
         packed = self.packed
         for part, special in self.sections(text):
             if special is not None:
-                out.append(np.uint32(special).astype("<u4").tobytes())
+                out.append(struct.pack("<I", special))
                 continue
             for piece in self.split(part):
                 ids = packed.get(piece)
                 if ids is None:
                     if len(packed) >= MEMO_ENTRIES:
                         packed.clear()
-                    ids = np.asarray(self.piece_ids(piece), dtype="<u4").tobytes()
+                    ids = self.pack_piece(piece)
                     if len(piece) <= 4 * SHORT:
                         packed[piece] = ids
                 out.append(ids)
@@ -270,6 +271,7 @@ def encode_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col:
                 [batch.column(0), pa.array(counts, pa.int64()), pa.array(ids, pa.string()), pa.array(texts, pa.string())],
                 names=[id_col, "n_tokens", "ids_sha256", "decoded_sha256"],
             )
+        trim()
 
     kind = docs.schema[id_col].dataType.simpleString()
     out = f"`{id_col}` {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string"

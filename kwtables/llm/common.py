@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import os
 import tempfile
 import zipfile
@@ -46,3 +47,14 @@ def fresh(df: DataFrame, stem: str) -> str:
     while name.lower() in taken:
         name = f"{name}_"
     return name
+
+
+def trim() -> None:
+    """Hand memory that a finished partition no longer needs back to the system: idle workers count as the executor's."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)

@@ -54,8 +54,8 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
                 for piece in seen.keys() - known.keys():
                     if len(known) >= 2 * MEMO_ENTRIES:
                         known.clear()
-                        known.update((p, len(bpe.piece_ids(p))) for p in seen)
-                    known[piece] = len(bpe.piece_ids(piece))
+                        known.update((p, len(bpe.pack_piece(p)) // 4) for p in seen)
+                    known[piece] = len(bpe.pack_piece(piece)) // 4
                 n += sum(known[p] * c for p, c in seen.items())
                 sizes.append(len(text.encode()))
                 totals.append(n)
@@ -80,7 +80,7 @@ def _count_by_join(docs: DataFrame, path: str, id_col: str, text_col: str) -> Da
     def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = load(path)
         for batch in batches:
-            n = [len(bpe.piece_ids(p)) for p in batch.column(0).to_pylist()]
+            n = [len(bpe.pack_piece(p)) // 4 for p in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64())], names=["piece", "pieces"])
 
     parts = rows.select("row_no", "row_text").mapInArrow(split, "row_no bigint, piece string, freq bigint")
