@@ -2,9 +2,10 @@
 
 A pair of bytes that is adjacent in no vocabulary token can never end up inside one token, so every
 place where such a pair occurs is a certain cut. A pre-token is cut there, each fragment is merged on
-its own (and remembered, as fragments repeat far more often than words), and the ids are concatenated.
+its own, and the ids are concatenated (and remembered in a bounded table, as pre-tokens repeat).
 Cuts are looked for inside pre-tokens only: the pre-tokeniser looks at neighbouring characters, so a cut
-made before it could change how white space is grouped.
+made before it could change how white space is grouped. The library's merge model encodes a fragment; splitting, special
+tokens, concatenation and decoding are done here.
 
 Defined results: null text counts as empty; empty text has no ids; strings of special tokens inside a text
 become that token, as the library does by default; repeated rows give repeated results; columns of the input
@@ -14,7 +15,6 @@ other than the id and text columns are ignored.
 from __future__ import annotations
 
 import hashlib
-import heapq
 import json
 import re
 import struct
@@ -30,8 +30,8 @@ from .common import ship, trim
 
 #: Entries kept in a worker's memo before it is emptied.
 MEMO_ENTRIES = 100_000
-#: Fragments up to this many bytes use the plain merge loop, longer ones a heap.
-SHORT = 48
+#: Pre-tokens up to this many characters are remembered.
+LONGEST_KEPT = 64
 
 
 def byte_alphabet() -> list[str]:
@@ -78,7 +78,10 @@ class ByteBpe:
         added = [t for t in spec["added_tokens"] if t["content"]]
         if any(t["single_word"] or t["lstrip"] or t["rstrip"] for t in added):
             raise ValueError("added tokens that match with their surroundings are not supported")
-        self.library_split = Tokenizer.from_file(path).pre_tokenizer.pre_tokenize_str
+        library = Tokenizer.from_file(path)
+        self.library_split = library.pre_tokenizer.pre_tokenize_str
+        #: The merge model alone, without pre-tokenising: applied to one fragment at a time.
+        self.merge = library.model.tokenize
         self.settled = settled_splitter().findall
         self.unsettled = re.compile(f"[^\0-{chr(SETTLED - 1)}]").search
         self.mapped = byte_alphabet()
@@ -89,13 +92,8 @@ class ByteBpe:
         self.special_re = re.compile("|".join(map(re.escape, longest_first))) if added else None
         self.token_bytes: dict[int, bytes] = {i: bytes(self.unmapped[c] for c in t) for t, i in self.vocab.items()}
         self.token_bytes |= {i: t.encode() for t, i in self.special.items()}
-        self.pairs: dict[tuple[int, int], tuple[int, int]] = {}
-        for rank, merge in enumerate(model["merges"]):
-            a, b = merge if isinstance(merge, list) else merge.split(" ")
-            self.pairs[self.vocab[a], self.vocab[b]] = (rank, self.vocab[a + b])
-        self.inner: set[str] = {t[i : i + 2] for t in self.vocab for i in range(len(t) - 1)}
+        self.inner: set[tuple[str, str]] = {pair for t in self.vocab for pair in zip(t, t[1:], strict=False)}
         self.packed: dict[str, bytes] = {}  # pre-token -> ids as little-endian 32-bit
-        self.merged: dict[str, bytes] = {}  # fragment -> the same
 
     def split(self, text: str) -> list[str]:
         """Pre-tokens of an ordinary stretch of text, as substrings."""
@@ -105,85 +103,15 @@ class ByteBpe:
 
     def fragments(self, piece: str) -> list[str]:
         """``piece`` (one character for each byte) cut wherever two bytes are adjacent in no vocabulary token."""
-        inner, start, out = self.inner, 0, []
-        for i in range(1, len(piece)):
-            if piece[i - 1 : i + 1] not in inner:
-                out.append(piece[start:i])
-                start = i
-        out.append(piece[start:])
-        return out
-
-    def merge(self, fragment: str) -> list[int]:
-        """Ids of one fragment, by repeatedly joining the pair of lowest rank, leftmost first."""
-        whole = self.vocab.get(fragment)
-        ids = [self.vocab[c] for c in fragment]
-        if len(ids) < 2:
-            return ids
-        if len(ids) > SHORT:
-            return self._merge_long(ids)
-        pairs, none = self.pairs, (1 << 60, -1)
-        while len(ids) > 1:
-            rank, new, at = 1 << 60, -1, -1
-            for i in range(len(ids) - 1):
-                r, n = pairs.get((ids[i], ids[i + 1]), none)
-                if r < rank:
-                    rank, new, at = r, n, i
-            if at < 0:
-                break
-            a, b, out, i = ids[at], ids[at + 1], ids[:at], at
-            while i < len(ids):
-                if i + 1 < len(ids) and ids[i] == a and ids[i + 1] == b:
-                    out.append(new)
-                    i += 2
-                else:
-                    out.append(ids[i])
-                    i += 1
-            ids = out
-            if whole is not None and len(ids) == 1:
-                break
-        return ids
-
-    def _merge_long(self, ids: list[int]) -> list[int]:
-        """The same over a linked list with a heap of (rank, place): n log n for runs without any cut."""
-        n = len(ids)
-        left, right, alive = list(range(-1, n - 1)), list(range(1, n + 1)), [True] * n
-        heap: list[tuple[int, int, int, int, int]] = []
-
-        def offer(i: int) -> None:
-            j = right[i]
-            if j < n and (hit := self.pairs.get((ids[i], ids[j]))):
-                heapq.heappush(heap, (hit[0], i, ids[i], ids[j], hit[1]))
-
-        for i in range(n - 1):
-            offer(i)
-        while heap:
-            _, i, a, b, new = heapq.heappop(heap)
-            j = right[i] if alive[i] else n
-            if not alive[i] or ids[i] != a or j >= n or ids[j] != b:
-                continue
-            ids[i], alive[j], right[i] = new, False, right[j]
-            if right[j] < n:
-                left[right[j]] = i
-            if left[i] >= 0:
-                offer(left[i])
-            offer(i)
-        return [x for x, live in zip(ids, alive, strict=True) if live]
+        inner = self.inner
+        cuts = [i for i, pair in enumerate(zip(piece, piece[1:], strict=False), 1) if pair not in inner]
+        return [piece[a:b] for a, b in zip([0, *cuts], [*cuts, len(piece)], strict=True)] if cuts else [piece]
 
     def pack_piece(self, piece: str) -> bytes:
         """Ids of one pre-token: those of its fragments, one after the other."""
-        piece = "".join([self.mapped[b] for b in piece.encode()])
-        out, merged = [], self.merged
-        for f in self.fragments(piece):
-            ids = merged.get(f)
-            if ids is None:
-                if len(merged) >= MEMO_ENTRIES:
-                    merged.clear()
-                x = self.merge(f)
-                ids = struct.pack(f"<{len(x)}I", *x)
-                if len(f) <= SHORT:
-                    merged[f] = ids
-            out.append(ids)
-        return b"".join(out)
+        mapped = "".join([self.mapped[b] for b in piece.encode()])
+        ids = [t.id for f in self.fragments(mapped) for t in self.merge(f)]
+        return struct.pack(f"<{len(ids)}I", *ids)
 
     def sections(self, text: str) -> Iterator[tuple[str, int | None]]:
         """Ordinary stretches (id None) and special tokens of ``text`` in order."""
@@ -213,7 +141,7 @@ class ByteBpe:
                     if len(packed) >= MEMO_ENTRIES:
                         packed.clear()
                     ids = self.pack_piece(piece)
-                    if len(piece) <= 4 * SHORT:
+                    if len(piece) <= LONGEST_KEPT:
                         packed[piece] = ids
                 out.append(ids)
         return b"".join(out)

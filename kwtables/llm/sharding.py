@@ -21,7 +21,7 @@ from .common import broadcast_if
 
 SEED = "interleave"
 #: Rows that a cell holds on average, as long as that makes no more than MOST_CELLS cells.
-CELL_ROWS = 20_000
+CELL_ROWS = 4_096
 MOST_CELLS = 65_536
 #: Offset tables of up to this many rows are broadcast; beyond it they are joined by shuffle.
 BROADCAST_ROWS = 200_000

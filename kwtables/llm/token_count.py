@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import MEMO_ENTRIES, ByteBpe, load
-from .common import ship
+from .common import ship, trim
 
 _known: dict[str, dict[str, int]] = {}
 
@@ -51,15 +51,15 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
             for t in batch.column(1):
                 text = t.as_py() or ""
                 seen, n = frequencies(bpe, text)
+                if len(known) >= MEMO_ENTRIES:
+                    known.clear()
                 for piece in seen.keys() - known.keys():
-                    if len(known) >= 2 * MEMO_ENTRIES:
-                        known.clear()
-                        known.update((p, len(bpe.pack_piece(p)) // 4) for p in seen)
                     known[piece] = len(bpe.pack_piece(piece)) // 4
                 n += sum(known[p] * c for p, c in seen.items())
                 sizes.append(len(text.encode()))
                 totals.append(n)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(totals, pa.int64())], names=[id_col, "n_bytes", "n_tokens"])
+        trim()
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_bytes bigint, n_tokens bigint")
