@@ -25,13 +25,16 @@ from pyspark.sql import functions as F
 
 from .common import ship
 
-CELLS = 1 << 13
-SAMPLE = 600
+CELL_BITS = 12
+CELLS = 1 << CELL_BITS
+SAMPLE = 400
 CENTROIDS = 4
 MOST_LANGUAGES = 400
 NO_LANGUAGE = "und"
 #: Rejected are texts farther than this multiple of the farthest training distance, as an angle-free cosine distance.
 REJECT_MARGIN = 1.25
+#: and than this in any case, so that very short texts stay.
+LEAST_REJECTED = 0.98
 PIECE = 1 << 20
 _letters: list[np.ndarray] = []
 
@@ -61,7 +64,7 @@ def cell_counts(text: str | None) -> np.ndarray | None:
             one = x * np.uint32(0x9E3779B1)
             two = (one[:-1] ^ (x[1:] * np.uint32(0x85EBCA77))) * np.uint32(0xC2B2AE3D)
             three = (two[:-1] ^ (x[2:] * np.uint32(0x27D4EB2F))) * np.uint32(0x165667B1)
-        cells = np.concatenate([(g >> np.uint32(19)) for g in (one[1:-1], two, three)])
+        cells = np.concatenate([(g >> np.uint32(32 - CELL_BITS)) for g in (one[1:-1], two, three)])
         n = np.bincount(cells, minlength=CELLS)
         out = n if out is None else out + n
     return out
@@ -114,28 +117,32 @@ def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id",
                 n = cell_counts(t.as_py())
                 if n is not None:
                     langs.append(lang)
-                    vectors.append(weigh(n).astype(np.float16).tobytes())
+                    vectors.append(np.log1p(n).astype(np.float16).tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(langs, pa.string()), pa.array(vectors, pa.binary())], names=["lang", "vector"])
 
     # at most sample rows of each language, unless rows repeat an id
     rows = labelled.where(chosen).select(lang_col, text_col).mapInArrow(run, "lang string, vector binary").orderBy("lang", "vector").limit(2 * sample * len(limits)).collect()
     if not rows:
         return {"langs": [], "idf": None, "centroids": None, "owner": [], "reject": []}
-    x = np.expm1(np.stack([np.frombuffer(r["vector"], dtype=np.float16) for r in rows]).astype(np.float32))
     owner = np.array([r["lang"] for r in rows])
+    x = np.empty((len(rows), CELLS), dtype=np.float32)
+    for i, r in enumerate(rows):
+        x[i] = np.frombuffer(r["vector"], dtype=np.float16)
+    del rows
     langs = sorted(set(owner.tolist()))
     # mean over languages of the share of texts with a cell, so that a language with more rows weighs no more
     share = np.mean([(x[owner == lang] > 0).mean(axis=0) for lang in langs], axis=0)
-    idf = (np.log((1 + len(rows)) / (1 + share * len(rows))) + 0.2).astype(np.float32)
-    v = weigh(x, idf)
+    idf = (np.log((1 + len(x)) / (1 + share * len(x))) + 0.2).astype(np.float32)
+    x *= idf  # in place: the driver holds one matrix; vectors come dampened already
+    x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
     out, owners, reject = [], [], []
     for i, lang in enumerate(langs):
-        mine = v[owner == lang]
+        mine = x[owner == lang]
         c = cluster(mine, centroids)
         out.append(c)
         owners += [i] * len(c)
         far = 1 - np.max(mine @ c.T, axis=1)
-        reject.append(float(min(1.0, far.max() * REJECT_MARGIN)))
+        reject.append(float(min(1.0, max(LEAST_REJECTED, far.max() * REJECT_MARGIN))))
     return {"langs": langs, "idf": idf.tobytes(), "centroids": np.concatenate(out).astype(np.float32).tobytes(), "owner": owners, "reject": reject}
 
 
