@@ -63,6 +63,10 @@ def winnow(df: DataFrame, out: str, tokens: str, span: int, gram: int = GRAM) ->
     return df.withColumn(out, F.array_distinct(at)).select(*(c for c in df.columns if c in held), out)
 
 
+def _marked(hashes: str, span: int) -> Column:
+    return F.transform(hashes, lambda h: F.struct(h.alias("print"), F.lit(span).alias("print_span")))
+
+
 def _runs(tokens: str, span: int) -> Column:
     """Every run of ``span`` tokens as one string, in order."""
     last = F.size(tokens) - (span - 1)
@@ -89,7 +93,7 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
         prints = mine if prints is None else prints.unionByName(mine)
         kept = winnow(kept, f"kept_{s}", "tokens", s, gram)
     prints = prints.distinct()
-    found = F.concat(*(F.transform(f"kept_{s}", lambda h, s=s: F.struct(h.alias("print"), F.lit(s).alias("print_span"))) for s in spans)) if len(spans) > 1 else F.col(f"kept_{spans[0]}")
+    found = F.concat(*(_marked(f"kept_{s}", s) for s in spans)) if len(spans) > 1 else F.col(f"kept_{spans[0]}")
     rows = kept.select("id", "text_hash", "n_words", F.explode_outer(found).alias("print"))
     if len(spans) > 1:
         rows = rows.select("id", "text_hash", "n_words", "print.print", "print.print_span")
