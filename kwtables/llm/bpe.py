@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 import re
 import struct
 import unicodedata
@@ -82,6 +83,9 @@ class ByteBpe:
         self.library_split = library.pre_tokenizer.pre_tokenize_str
         #: The merge model alone, without pre-tokenising: applied to one fragment at a time.
         self.merge = library.model.tokenize
+        library.no_truncation()
+        library.no_padding()
+        self.library = library
         self.settled = settled_splitter().findall
         self.unsettled = re.compile(f"[^\0-{chr(SETTLED - 1)}]").search
         self.mapped = byte_alphabet()
@@ -113,6 +117,10 @@ class ByteBpe:
         ids = [t.id for f in self.fragments(mapped) for t in self.merge(f)]
         return struct.pack(f"<{len(ids)}I", *ids)
 
+    def piece_counts(self, pieces: list[str]) -> list[int]:
+        """Number of ids of each pre-token, in bulk; a pre-token on its own is split no further."""
+        return [len(e) for e in self.library.encode_batch_fast(pieces, add_special_tokens=False)]
+
     def sections(self, text: str) -> Iterator[tuple[str, int | None]]:
         """Ordinary stretches (id None) and special tokens of ``text`` in order."""
         if not self.special_re or not self.special_re.search(text):
@@ -162,6 +170,7 @@ _loaded: dict[str, ByteBpe] = {}
 def load(path: str) -> ByteBpe:
     """One tokeniser for each worker process and path."""
     if path not in _loaded:
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
         _loaded[path] = ByteBpe(path)
     return _loaded[path]
 

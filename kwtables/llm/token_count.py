@@ -1,8 +1,8 @@
 """Token counts without ids: the pieces of each distinct pre-token are counted once and joined to frequencies.
 
 A block of rows is split into pre-tokens and counted into (document, pre-token, frequency); the distinct
-pre-tokens of the block that are not yet known are each merged once; the counts are joined to the frequencies
-and summed by document. Blocks are Arrow batches, so nothing is shuffled and memory follows the block and the
+pre-tokens of the block that are not yet known are each encoded once; the counts are joined to the frequencies
+and summed by document. Blocks hold a fixed volume of text, so nothing is shuffled and memory follows the block and the
 bounded table of known counts, never the corpus vocabulary. ``strategy="shuffle"`` does the same over the whole
 corpus with joins (each distinct pre-token exactly once anywhere), at the price of a shuffle of all frequencies.
 
@@ -16,12 +16,17 @@ from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe import MEMO_ENTRIES, ByteBpe, load
+from .bpe import ByteBpe, load
 from .common import ship, trim
 
+#: Characters of text in a block.
+BLOCK_CHARS = 1 << 21
+#: Counts that a worker remembers between blocks.
+KNOWN_ENTRIES = 300_000
 _known: dict[str, dict[str, int]] = {}
 
 
@@ -37,6 +42,16 @@ def frequencies(bpe: ByteBpe, text: str) -> tuple[Counter, int]:
     return seen, special
 
 
+def _weigh_block(bpe: ByteBpe, known: dict[str, int], block: list[tuple[Counter, int]]) -> list[int]:
+    """Tokens of each document of a block: distinct pre-tokens are counted once, then joined to the frequencies."""
+    fresh = list(set().union(*(seen for seen, _ in block)) - known.keys())
+    if len(known) + len(fresh) > KNOWN_ENTRIES:
+        known.clear()
+        fresh = list(set().union(*(seen for seen, _ in block)))
+    known.update(zip(fresh, bpe.piece_counts(fresh), strict=True))
+    return [n + sum(known[p] * c for p, c in seen.items()) for seen, n in block]
+
+
 def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", strategy: str = "block") -> DataFrame:
     """``id_col, n_bytes, n_tokens`` for each row."""
     ship(docs.sparkSession)
@@ -47,18 +62,19 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
         bpe = load(path)
         known = _known.setdefault(path, {})
         for batch in batches:
-            sizes, totals = [], []
+            totals: list[int] = []
+            block: list[tuple[Counter, int]] = []
+            held = 0
             for t in batch.column(1):
                 text = t.as_py() or ""
-                seen, n = frequencies(bpe, text)
-                if len(known) >= MEMO_ENTRIES:
-                    known.clear()
-                for piece in seen.keys() - known.keys():
-                    known[piece] = len(bpe.pack_piece(piece)) // 4
-                n += sum(known[p] * c for p, c in seen.items())
-                sizes.append(len(text.encode()))
-                totals.append(n)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(totals, pa.int64())], names=[id_col, "n_bytes", "n_tokens"])
+                block.append(frequencies(bpe, text))
+                held += len(text)
+                if held >= BLOCK_CHARS:
+                    totals += _weigh_block(bpe, known, block)
+                    block, held = [], 0
+            totals += _weigh_block(bpe, known, block)
+            sizes = pc.binary_length(batch.column(1)).fill_null(0).cast(pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), sizes, pa.array(totals, pa.int64())], names=[id_col, "n_bytes", "n_tokens"])
         trim()
 
     kind = docs.schema[id_col].dataType.simpleString()
@@ -80,7 +96,7 @@ def _count_by_join(docs: DataFrame, path: str, id_col: str, text_col: str) -> Da
     def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = load(path)
         for batch in batches:
-            n = [len(bpe.pack_piece(p)) // 4 for p in batch.column(0).to_pylist()]
+            n = bpe.piece_counts(batch.column(0).to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64())], names=["piece", "pieces"])
 
     parts = rows.select("row_no", "row_text").mapInArrow(split, "row_no bigint, piece string, freq bigint")
