@@ -7,10 +7,20 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Tree scores are compared after rounding, so that the order of summation cannot reorder patterns.
+#: Scores are compared by this many significant digits, so that the order of summation cannot reorder patterns.
 DIGITS = 9
 
 
+def order_key(score: str) -> Column:
+    """A whole number that grows with ``score`` and is equal for scores equal in DIGITS significant digits.
+
+    Decade and leading digits are put on one scale that is continuous where the decade changes.
+    """
+    s = F.col(score)
+    decade = F.floor(F.log10(s))
+    return F.when(s > 0, F.round((decade * 9 + s / F.pow(F.lit(10.0), decade)) * 10**DIGITS).cast("bigint")).otherwise(F.lit(-(10**18)).cast("bigint"))
+
+
 @dataclass(frozen=True)
 class Term:
     """One factor of the product: a path column summed over the words, raised to ``exponent``."""

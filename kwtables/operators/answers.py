@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.scoring import order_key
 from .index import PathIndex
 from .search import Query, root_expansion
 
@@ -65,7 +66,7 @@ def answer_tables(index: PathIndex, q: Query, result: DataFrame, n: int) -> dict
 
 def sample_rows(trees: DataFrame, q: Query, n: int = 3) -> DataFrame:
     """``root_type, p1.., roots``: the roots of the n best subtrees of each pattern, a bounded list."""
-    w = Window.partitionBy("root_type", *q.ids).orderBy(F.desc("tree_score"), "root")
+    w = Window.partitionBy("root_type", *q.ids).orderBy(order_key("tree_score").desc(), "root")
     return trees.withColumn("place", F.row_number().over(w)).where(F.col("place") <= n).groupBy("root_type", *q.ids).agg(F.array_sort(F.collect_list("root")).alias("roots"))
 
 

@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.patterns import edges_of, height, is_tree, root_sample
-from ..functions.scoring import DIGITS, ScoreSpec
+from ..functions.scoring import ScoreSpec, order_key
 from ..sources.graph import KnowledgeGraph
 from .index import PathIndex, pattern_dictionary, schema_words, text_words
 
@@ -111,7 +111,7 @@ def group_trees(trees: DataFrame, q: Query, scale: Column | None = None) -> Data
 
 def _order(q: Query, score: str = "score") -> list[Column]:
     """Best first; equal scores by pattern ids, which follow the label texts."""
-    return [F.desc(F.round(score, DIGITS)), *map(F.asc, q.ids)]
+    return [order_key(score).desc(), *map(F.asc, q.ids)]
 
 
 def rank_patterns(grouped: DataFrame, q: Query, patterns: DataFrame, k: int | None) -> DataFrame:
@@ -306,7 +306,7 @@ def typed_topk(index: PathIndex, q: Query, k: int = 100, lam: float = float("inf
 
 
 def _typed(index: PathIndex, postings: DataFrame, q: Query, k: int, lam: float, rho: float, seed: int, check: bool | None) -> DataFrame:
-    best = Window.partitionBy("root_type").orderBy(F.desc(F.round("score", DIGITS)), *map(F.asc, q.ids))
+    best = Window.partitionBy("root_type").orderBy(order_key("score").desc(), *map(F.asc, q.ids))
     roots = candidate_roots(postings, q)
     if lam == float("inf") or rho >= 1.0:
         grouped = group_trees(join_trees(postings.join(roots, ["root", "root_type"], "left_semi"), q, check=check), q)
@@ -343,7 +343,7 @@ def _expand(alive: DataFrame, postings: DataFrame, q: Query, check: bool | None)
 def individual_topk(index: PathIndex, q: Query, k: int = 100) -> DataFrame:
     """``rank, root, pattern_ids, tree_score`` of the k best single subtrees, with their paths."""
     trees = root_expansion(index, q, return_trees=True)
-    order = [F.desc(F.round("tree_score", DIGITS)), *map(F.asc, q.ids), F.asc("root"), *(F.asc(f"nodes{i}") for i in range(1, len(q.words) + 1))]
+    order = [order_key("tree_score").desc(), *map(F.asc, q.ids), F.asc("root"), *(F.asc(f"nodes{i}") for i in range(1, len(q.words) + 1))]
     top = trees.orderBy(*order).limit(k)
     paths = [x for i in range(1, len(q.words) + 1) for x in (f"nodes{i}", f"attrs{i}")]
     return top.withColumn("rank", F.row_number().over(Window.orderBy(*order))).select("rank", "root", F.array(*q.ids).alias("pattern_ids"), "tree_score", *paths)

@@ -9,6 +9,8 @@ BACK = [("lines", "li", "Order", "l_orderkey", "Lineitem", "l_key"), ("orders",
 TEXTS = [("market segment", "customer", "Customer", "c_custkey", "c_mktsegment"), ("brand", "part", "Part", "p_partkey", "p_brand"), ("part type", "part", "Part", "p_partkey", "p_type"), ("order priority", "orders", "Order", "o_orderkey", "o_orderpriority"), ("order status", "orders", "Order", "o_orderkey", "o_orderstatus"), ("return flag", "li", "Lineitem", "l_key", "l_returnflag"), ("line status", "li", "Lineitem", "l_key", "l_linestatus")]
 TYPED = {"Part": "p_brand", "Order": "o_orderpriority", "Customer": "c_mktsegment"}
 LI_ORDER = "l_discount, l_extendedprice, l_linenumber, l_linestatus, l_orderkey, l_partkey, l_quantity, l_returnflag, l_shipdate, l_suppkey, l_tax"
+#: Scores in nine significant digits, as a number that grows with the score.
+KEY = "CASE WHEN {0} > 0 THEN CAST(round((floor(log10({0})) * 9 + {0} / power(10.0::DOUBLE, floor(log10({0})))) * 1000000000) AS BIGINT) ELSE -1000000000000000000 END"
 WORDS = "list_distinct(list_filter(string_split_regex(lower(coalesce({0}, '')), '[^a-z0-9]+'), lambda w: w <> ''))"
 
 
@@ -94,5 +96,5 @@ def ranked(profile: str, d: int, words: list[str], k: int | None = 100, validity
     return f"""{prefix or index(profile, d, words, scope)},
 {trees(words, validity, score)},
 pat AS (SELECT {ls}, max(h) AS h, count(*) AS n_trees, {AGGREGATE[agg]} AS score FROM tree GROUP BY {ls}),
-placed AS (SELECT *, row_number() OVER (ORDER BY round(score, 9) DESC, {ls}) AS rank FROM pat)
+placed AS (SELECT *, row_number() OVER (ORDER BY {KEY.format('score')} DESC, {ls}) AS rank FROM pat)
 SELECT CAST(rank AS INTEGER) AS rank, {joined_label(words)} AS label, CAST(h AS INTEGER) AS height, CAST(n_trees AS BIGINT) AS n_trees, round(score, 6) AS score FROM placed{limit}"""

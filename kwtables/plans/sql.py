@@ -20,7 +20,8 @@ def search_sql(words: list[str], k: int = 100, per_type: bool = False, prefix: s
     parts = [f"w{i} AS (SELECT root, root_type, pattern_id AS p{i}, len AS len{i}, pr AS pr{i}, sim AS sim{i} FROM {prefix}_postings WHERE word = '{w}')" for i, w in enumerate(words, 1)]
     total = {c: " + ".join(f"{c}{i}" for i in range(1, len(words) + 1)) for c in ("len", "pr", "sim")}
     joins = " ".join(f"JOIN w{i} USING (root, root_type)" for i in range(2, len(words) + 1))
-    order = f"ROUND(score, {DIGITS}) DESC, {', '.join(ids)}"
+    decade = "FLOOR(LOG10(score))"
+    order = f"CAST(ROUND(({decade} * 9 + score / POWER(10.0D, {decade})) * {10**DIGITS}L) AS BIGINT) DESC, {', '.join(ids)}"
     ranked = f"SELECT *, ROW_NUMBER() OVER (PARTITION BY root_type ORDER BY {order}) AS place FROM scored" if per_type else "SELECT *, 1 AS place FROM scored"
     return f"""WITH {', '.join(parts)},
 scored AS (SELECT root_type, {', '.join(ids)}, COUNT(*) AS n_trees, SUM(({total['pr']}) * ({total['sim']}) / ({total['len']})) AS score FROM w1 {joins} GROUP BY root_type, {', '.join(ids)}),

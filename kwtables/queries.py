@@ -393,9 +393,9 @@ def _sampled_sql(words: list[str], k: int, lam: float, rho: float, seed: int) ->
 rate AS (SELECT rtype, CASE WHEN sum({' * '.join(f'CAST(c{i}.n AS DOUBLE)' for i in range(len(words)))}) >= {lam} THEN {rho}::DOUBLE ELSE 1.0::DOUBLE END AS rate FROM c0 {joins} GROUP BY rtype),
 {O.trees(words)},
 est AS (SELECT tree.rtype, {ls}, sum(score) / any_value(rate) AS score_est FROM tree JOIN rate USING (rtype) WHERE {_SAMPLE.format('root', seed, 'rate')} GROUP BY tree.rtype, {ls}),
-lead_ AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY rtype ORDER BY round(score_est, 9) DESC, {ls}) AS place FROM est) WHERE place <= {k}),
+lead_ AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY rtype ORDER BY {O.KEY.format('score_est')} DESC, {ls}) AS place FROM est) WHERE place <= {k}),
 pat AS (SELECT {ls}, max(h) AS h, count(*) AS n_trees, sum(tree.score) AS score, any_value(score_est) AS score_est FROM tree JOIN lead_ USING (rtype, {ls}) GROUP BY {ls}),
-placed AS (SELECT *, row_number() OVER (ORDER BY round(score, 9) DESC, {ls}) AS rank FROM pat)
+placed AS (SELECT *, row_number() OVER (ORDER BY {O.KEY.format('score')} DESC, {ls}) AS rank FROM pat)
 SELECT CAST(rank AS INTEGER) AS rank, {O.joined_label(words)} AS label, CAST(h AS INTEGER) AS height, CAST(n_trees AS BIGINT) AS n_trees, round(score, 6) AS score, round(score_est, 6) AS score_est FROM placed WHERE rank <= {k}"""
 
 
@@ -467,7 +467,7 @@ def factorised_heavy(spark, sf_dir):
 
 
 _FLAT = "array_to_string(list_transform(n{0}, lambda x: CAST(x AS VARCHAR)), '>')"
-_SINGLE = f"one AS (SELECT *, row_number() OVER (ORDER BY round(score, 9) DESC, {O.labels(SHORT)}, root, n1, n2) AS rank FROM tree)"
+_SINGLE = f"one AS (SELECT *, row_number() OVER (ORDER BY {O.KEY.format('score')} DESC, {O.labels(SHORT)}, root, n1, n2) AS rank FROM tree)"
 
 
 @query(f"{O.index('linked', 3, SHORT)}, {O.trees(SHORT)}, {_SINGLE} SELECT CAST(rank AS INTEGER) AS rank, {O.joined_label(SHORT)} AS label, root, round(score, 6) AS tree_score, {_FLAT.format(1)} || ' ' || {_FLAT.format(2)} AS paths FROM one WHERE rank <= 50")
@@ -479,7 +479,7 @@ def individual_topk(spark, sf_dir):
     return named(ix, out, "p1", "p2").select("rank", F.concat_ws(" | ", "p1", "p2").alias("label"), "root", "tree_score", "paths")
 
 
-_MEASURE = f"{O.index('many_types', 3, SHORT)}, {O.trees(SHORT)}, {_SINGLE}, pat AS (SELECT l1, l2, count(*) AS n_trees, sum(score) AS score FROM tree GROUP BY l1, l2), top AS (SELECT l1, l2 FROM (SELECT *, row_number() OVER (ORDER BY round(score, 9) DESC, l1, l2) AS rank FROM pat) WHERE rank <= 20), single AS (SELECT l1, l2 FROM one WHERE rank <= 20)"
+_MEASURE = f"{O.index('many_types', 3, SHORT)}, {O.trees(SHORT)}, {_SINGLE}, pat AS (SELECT l1, l2, count(*) AS n_trees, sum(score) AS score FROM tree GROUP BY l1, l2), top AS (SELECT l1, l2 FROM (SELECT *, row_number() OVER (ORDER BY {O.KEY.format('score')} DESC, l1, l2) AS rank FROM pat) WHERE rank <= 20), single AS (SELECT l1, l2 FROM one WHERE rank <= 20)"
 
 
 def _both(spark, sf_dir, k: int = 20):
@@ -543,7 +543,7 @@ def log_groups(spark, sf_dir):
 
 
 _ANSWER_SQL = f"""{O.index('forward', 3, SHORT)}, {O.trees(SHORT)},
-best AS (SELECT l1, l2 FROM (SELECT l1, l2, sum(score) AS s FROM tree GROUP BY l1, l2) ORDER BY round(s, 9) DESC, l1, l2 LIMIT 1)
+best AS (SELECT l1, l2 FROM (SELECT l1, l2, sum(score) AS s FROM tree GROUP BY l1, l2) ORDER BY {O.KEY.format('s')} DESC, l1, l2 LIMIT 1)
 SELECT round(score, 6) AS tree_score, a.text AS c1, b.text AS c2 FROM tree JOIN best USING (l1, l2) JOIN nodes a ON a.id = n1[1] JOIN nodes b ON b.id = n1[2]"""
 
 
@@ -670,11 +670,11 @@ def sql_search(spark, sf_dir):
     return named(ix, found.select(*ids, "n_trees", F.round("score", 6).alias("score")), *(f"p{i}" for i in range(len(FOUR)))).select(F.concat_ws(" | ", *(f"p{i}" for i in range(len(FOUR)))).alias("label"), "n_trees", "score")
 
 
-@query(f"{O.index('linked', 3, SHORT)}, {O.trees(SHORT)} SELECT {O.joined_label(SHORT)} AS label, array_to_string(list_transform(list_sort(list(root)), lambda x: CAST(x AS VARCHAR)), ',') AS roots FROM (SELECT *, row_number() OVER (PARTITION BY {O.labels(SHORT)} ORDER BY round(score, 9) DESC, root, n1, n2) AS place FROM tree) WHERE place <= 3 GROUP BY {O.labels(SHORT)}")
+@query(f"{O.index('linked', 3, SHORT)}, {O.trees(SHORT)} SELECT {O.joined_label(SHORT)} AS label, array_to_string(list_transform(list_sort(list(root)), lambda x: CAST(x AS VARCHAR)), ',') AS roots FROM (SELECT *, row_number() OVER (PARTITION BY {O.labels(SHORT)} ORDER BY {O.KEY.format('score')} DESC, root, n1, n2) AS place FROM tree) WHERE place <= 3 GROUP BY {O.labels(SHORT)}")
 def sample_rows(spark, sf_dir):
     ix = index_for(spark, sf_dir, "linked")
     q = Query(tuple(SHORT))
-    trees = search.root_expansion(ix, q, return_trees=True).withColumn("tree_score", F.round("tree_score", 9))
+    trees = search.root_expansion(ix, q, return_trees=True)
     out = named(ix, answers.sample_rows(trees, q), *q.ids)
     return out.select(F.concat_ws(" | ", *q.ids).alias("label"), F.array_join(F.transform("roots", lambda x: x.cast("string")), ",").alias("roots"))
 
