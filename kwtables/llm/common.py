@@ -11,13 +11,22 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Rows of an Arrow batch. Texts can be long, and a batch is held by the JVM and by the Python worker at once.
+BATCH_ROWS = 1_000
+_BATCH_SETTING, _BATCH_DEFAULT = "spark.sql.execution.arrow.maxRecordsPerBatch", "10000"
+
 PACKAGE = Path(__file__).resolve().parent.parent
 _shipped: set[str] = set()
 
 
 def ship(spark: SparkSession) -> None:
-    """Send this package to the Python workers once per application, so that mapInArrow functions import it there."""
+    """Send this package to the Python workers once per application, so that mapInArrow functions import it there.
+
+    Sessions that leave the Arrow batch size at its default get batches of BATCH_ROWS.
+    """
     sc = spark.sparkContext
+    if spark.conf.get(_BATCH_SETTING, _BATCH_DEFAULT) == _BATCH_DEFAULT:
+        spark.conf.set(_BATCH_SETTING, str(BATCH_ROWS))
     if sc.applicationId in _shipped:
         return
     _shipped.add(sc.applicationId)
