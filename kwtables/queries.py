@@ -542,23 +542,21 @@ def log_groups(spark, sf_dir):
     return every.groupBy(measures.log_group(F.col("n_trees")).alias("log_group")).agg(F.count(F.lit(1)).alias("n_patterns"), F.sum("n_trees").alias("n_trees"))
 
 
-_ANSWER_SQL = f"""{O.index('forward', 3, SHORT)}, {O.trees(SHORT)},
-best AS (SELECT l1, l2 FROM (SELECT l1, l2, sum(score) AS s FROM tree GROUP BY l1, l2) ORDER BY {O.KEY.format('s')} DESC, l1, l2 LIMIT 1)
-SELECT round(score, 6) AS tree_score, a.text AS c1, b.text AS c2 FROM tree JOIN best USING (l1, l2) JOIN nodes a ON a.id = n1[1] JOIN nodes b ON b.id = n1[2]"""
+_ANSWER = ("Lineitem.part.Part.part type.Text", "Lineitem.part.Part")
+_ANSWER_SQL = f"""{O.index('forward', 3, SHORT)}, {O.trees(SHORT)}
+SELECT round(score, 6) AS tree_score, a.text AS lineitem, b.text AS part, c.text AS part_type FROM tree JOIN nodes a ON a.id = n1[1] JOIN nodes b ON b.id = n1[2] JOIN nodes c ON c.id = n1[3] WHERE l1 = '{_ANSWER[0]}' AND l2 = '{_ANSWER[1]}'"""
 
 
 @query(_ANSWER_SQL)
 def answer_table_rows(spark, sf_dir):
     ix = index_for(spark, sf_dir)
-    q = Query(tuple(SHORT))
-    best = search.typed_topk(ix, q, 1).first()
-    table = answers.answer_table(ix, q, best["pattern_ids"])
-    return table.toDF("tree_score", *(f"c{i}" for i in range(1, len(table.columns)))).withColumn("tree_score", F.round("tree_score", 6))
+    table = answers.answer_table(ix, Query(tuple(SHORT)), [_pattern(ix, label) for label in _ANSWER])
+    return table.select(F.round("tree_score", 6).alias("tree_score"), F.col("Lineitem").alias("lineitem"), F.col("`Lineitem.part.Part`").alias("part"), F.col("`Part.part type.Text`").alias("part_type"))
 
 
-@query(f"SELECT * FROM ({_ANSWER_SQL}) WHERE c2 LIKE '%large%' AND c1 IS NOT NULL AND tree_score >= 0.3")
+@query(f"SELECT * FROM ({_ANSWER_SQL}) WHERE part_type LIKE '%LARGE%' AND lineitem IS NOT NULL AND tree_score >= 0.3")
 def refine_filter(spark, sf_dir):
-    return answers.refine(answer_table_rows(spark, sf_dir), "c2 LIKE '%large%' AND c1 IS NOT NULL AND tree_score >= 0.3")
+    return answers.refine(answer_table_rows(spark, sf_dir), "part_type LIKE '%LARGE%' AND lineitem IS NOT NULL AND tree_score >= 0.3")
 
 
 @query(O.ranked("linked", 3, ["automobile"]))
@@ -582,8 +580,10 @@ _NEAREST = ["order", "urgent"]
 
 
 @query(
-    f"""{O.index('linked', 3, _NEAREST)}, near AS (SELECT p.* FROM post p WHERE NOT (len > 2 AND EXISTS (SELECT 1 FROM hit h WHERE h.w = p.w AND h.id IN (SELECT unnest(p.nodes[2:-2])))))
-, {O.trees(_NEAREST, source='near')}, pat AS (SELECT l1, l2, max(h) AS h, count(*) AS n_trees, sum(score) AS score FROM tree GROUP BY l1, l2)
+    f"""{O.index('linked', 3, _NEAREST)}, numbered AS MATERIALIZED (SELECT *, row_number() OVER () AS rid FROM post),
+passing AS (SELECT DISTINCT rid FROM (SELECT rid, w, unnest(nodes[2:-2]) AS id FROM numbered WHERE len > 2) JOIN hit USING (w, id)),
+near AS (SELECT * FROM numbered WHERE rid NOT IN (SELECT rid FROM passing)),
+{O.trees(_NEAREST, source='near')}, pat AS (SELECT l1, l2, max(h) AS h, count(*) AS n_trees, sum(score) AS score FROM tree GROUP BY l1, l2)
 SELECT l1 || ' | ' || l2 AS label, CAST(h AS INTEGER) AS height, CAST(n_trees AS BIGINT) AS n_trees, round(score, 6) AS score FROM pat"""
 )
 def nearest_match_only(spark, sf_dir):
