@@ -90,7 +90,7 @@ def fingerprints(docs: DataFrame, shingle: int, families: int = 1, id_col: str =
     return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, " + ", ".join(f"{n} bigint" for n in names))
 
 
-def bit_statistics(nodes: DataFrame) -> tuple[int, np.ndarray]:
+def bit_statistics(nodes: DataFrame, column: str = "f0") -> tuple[int, np.ndarray]:
     """(number of nodes, how many have both bits i and j), over all nodes; one small table for each task is added up."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -104,7 +104,7 @@ def bit_statistics(nodes: DataFrame) -> tuple[int, np.ndarray]:
             cells = np.append(total.ravel(), n).astype(np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(cells))), pa.array(cells)], names=["cell", "n"])
 
-    rows = nodes.select("f0").mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).collect()  # 4,097 rows at most
+    rows = nodes.select(column).mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).collect()  # 4,097 rows at most
     out = np.zeros(BITS * BITS + 1)
     for r in rows:
         out[r["cell"]] = r["n"]
@@ -180,7 +180,7 @@ def probes(value: Column, part: int, bits: list[int], threshold: int) -> Column:
     return F.concat(own, F.transform(mine, lambda x: F.struct(F.lit(part).alias("part"), value.bitwiseAND(mask).bitwiseXOR(x["change"]).alias("value"), F.lit(1).alias("role"))))
 
 
-def _forest(buckets: np.ndarray, role: np.ndarray, node: np.ndarray, f: np.ndarray, radius: int, radius_all: int | None) -> tuple[np.ndarray, np.ndarray]:
+def _forest(buckets: np.ndarray, role: np.ndarray, node: np.ndarray, f: np.ndarray, probed: int, radius: int, radius_all: int | None) -> tuple[np.ndarray, np.ndarray]:
     """Spanning edges (node, least node) of the verified links among rows of equal bucket; rows come sorted by bucket, role."""
     n = len(node)
     change = np.flatnonzero(np.append(buckets[1:] != buckets[:-1], True))
@@ -196,6 +196,8 @@ def _forest(buckets: np.ndarray, role: np.ndarray, node: np.ndarray, f: np.ndarr
         i = np.repeat(first[at:stop], lens[at:stop])
         j = i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(lens[at:stop]) - lens[at:stop], lens[at:stop])
         near = np.bitwise_count(f[i, 0] ^ f[j, 0]) <= radius
+        for c in range(1, probed):
+            near |= np.bitwise_count(f[i, c] ^ f[j, c]) <= radius
         i, j = i[near], j[near]
         if radius_all is not None and len(i):
             near = np.bitwise_count(f[i] ^ f[j]).sum(axis=1, dtype=np.int32) <= radius_all
@@ -216,14 +218,13 @@ def _forest(buckets: np.ndarray, role: np.ndarray, node: np.ndarray, f: np.ndarr
     return a[a != b], b[a != b]
 
 
-def link(nodes: DataFrame, radius: int, radius_all: int | None = None, plan: list[tuple[list[int], int]] | None = None) -> DataFrame:
-    """Edges ``a, b`` that connect whatever ``nodes`` (node, f0, ...) link at ``radius`` bits of f0 (and ``radius_all`` of all families)."""
+def link(nodes: DataFrame, radius: int, radius_all: int | None = None, probed: int = 1) -> DataFrame:
+    """Edges ``a, b`` that connect whatever ``nodes`` (node, f0, ...) link: at ``radius`` bits of one of the first ``probed``
+    families, and at ``radius_all`` bits of all families together if given."""
     ship(nodes.sparkSession)
     families = [c for c in nodes.columns if c != "node"]
-    if plan is None:
-        n, joint = bit_statistics(nodes)
-        plan = allocate(n, joint, radius)
-    every = F.concat(*(probes(F.col("f0"), i, bits, t) for i, (bits, t) in enumerate(plan)))
+    parts = [(c, bits, t) for c in families[:probed] for bits, t in allocate(*bit_statistics(nodes, c), radius)]
+    every = F.concat(*(probes(F.col(c), i, bits, t) for i, (c, bits, t) in enumerate(parts)))
     rows = nodes.select("node", *families, F.explode(every).alias("x")).select("x.part", "x.value", "x.role", "node", *families)
     large = cut(rows.groupBy("part", "value").count().where(F.col("count") > BLOCK_ROWS))
     rows = rows.join(broadcast_if(large, large.count(), BROADCAST_BUCKETS), ["part", "value"], "left")
@@ -239,7 +240,7 @@ def link(nodes: DataFrame, radius: int, radius_all: int | None = None, plan: lis
         size = 0
 
         def emit(data: np.ndarray) -> Iterator[pa.RecordBatch]:
-            a, b = _forest(data[:, 0], data[:, 1], data[:, 2], np.ascontiguousarray(data[:, 3:]).view(np.uint64), radius, radius_all)
+            a, b = _forest(data[:, 0], data[:, 1], data[:, 2], np.ascontiguousarray(data[:, 3:]).view(np.uint64), probed, radius, radius_all)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
@@ -279,12 +280,12 @@ def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
     return pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, shingle: int, radius: int, families: int = 1, radius_all: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, shingle: int, radius: int, families: int = 1, radius_all: int | None = None, probed: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id_col, f0, ..., component`` for each row; the component is the least id linked directly or through others."""
     prints = cut(fingerprints(docs, shingle, families, id_col, text_col))
     names = [f"f{i}" for i in range(families)]
     nodes = cut(prints.where(F.col(id_col).isNotNull()).groupBy(*names).agg(F.min(id_col).cast("bigint").alias("node")))
-    roots = components(link(nodes.select("node", *names), radius, radius_all))
+    roots = components(link(nodes.select("node", *names), radius, radius_all, probed))
     named = nodes.join(roots, "node", "left").select(*names, F.coalesce("root", "node").alias("component"))
     return prints.join(named, names, "left")
 
