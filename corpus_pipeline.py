@@ -13,10 +13,11 @@ from kwtables.llm import bpe, decontaminate, langid, secret_scan, simhash
 from kwtables.llm.common import broadcast_if, cut
 from kwtables.llm.queries import held_out, tokenizer_path
 
-SHINGLE, SIMILARITY, FAMILIES = 5, 0.8, 4
+SHINGLE, SIMILARITY, FAMILIES, PROBED = 5, 0.8, 4, 2
 BROADCAST_IDS = 1_000_000
 RADIUS = simhash.bits_for(SIMILARITY, 1)
-RADIUS_ALL = simhash.bits_for(SIMILARITY, FAMILIES)
+#: Over all families: the expectation at that similarity and one standard deviation of it.
+RADIUS_ALL = simhash.bits_for(SIMILARITY, FAMILIES) + 5
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,7 +33,7 @@ def without(docs: DataFrame, found: DataFrame) -> DataFrame:
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the document of least id of each group of near copies (five-word shingles, estimated similarity 0.8 or more)."""
-    groups = simhash.near_duplicates(docs, SHINGLE, RADIUS, FAMILIES, RADIUS_ALL)
+    groups = simhash.near_duplicates(docs, SHINGLE, RADIUS, FAMILIES, RADIUS_ALL, PROBED)
     return without(docs, groups.where(F.col("doc_id") != F.col("component")))
 
 
