@@ -35,8 +35,8 @@ SEED = 42
 BLOCK_ROWS = 4_096
 #: Pairs compared at once.
 CHUNK_PAIRS = 1 << 20
-#: What writing, shuffling and reading one probe costs, in comparisons.
-PROBE_COST = 100
+#: What one probe costs in comparisons: a few microseconds of work, but above all the bytes that it writes and moves.
+PROBE_COST = 1_000
 #: Large buckets within this number are broadcast; beyond it they are joined by shuffle.
 BROADCAST_BUCKETS = 200_000
 
@@ -233,14 +233,16 @@ def link(nodes: DataFrame, radius: int, radius_all: int | None = None, probed: i
     rows = rows.withColumn("blocks", blocks).withColumn("own", own)
     pairs = F.when(F.col("blocks") == 1, F.array(F.lit(0))).otherwise(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.least(k, F.col("own")) * F.col("blocks") + F.greatest(k, F.col("own"))))
     rows = rows.select("part", "value", F.explode(pairs).alias("pair"), "role", "node", *families)
-    rows = rows.select(F.xxhash64("part", "value", "pair").alias("bucket"), "role", "node", *families)
+    # the lowest bit sorts stored values before probes, without a column of its own
+    key = F.xxhash64("part", "value", "pair").bitwiseAND(F.lit(-2)).bitwiseOR(F.col("role").cast("bigint"))
+    rows = rows.select(key.alias("bucket"), "node", *families)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
         size = 0
 
         def emit(data: np.ndarray) -> Iterator[pa.RecordBatch]:
-            a, b = _forest(data[:, 0], data[:, 1], data[:, 2], np.ascontiguousarray(data[:, 3:]).view(np.uint64), probed, radius, radius_all)
+            a, b = _forest(data[:, 0] >> 1, data[:, 0] & 1, data[:, 1], np.ascontiguousarray(data[:, 2:]).view(np.uint64), probed, radius, radius_all)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
@@ -250,14 +252,14 @@ def link(nodes: DataFrame, radius: int, radius_all: int | None = None, probed: i
             if size < 100_000:
                 continue
             data = np.concatenate(held)
-            last = int(np.searchsorted(data[:, 0], data[-1, 0]))  # the last bucket may go on
+            last = int(np.searchsorted(data[:, 0] >> 1, data[-1, 0] >> 1))  # the last bucket may go on
             if last:
                 yield from emit(data[:last])
             held, size = [data[last:]], 0
         if held:
             yield from emit(np.concatenate(held))
 
-    dealt = rows.repartition("bucket").sortWithinPartitions("bucket", "role")
+    dealt = rows.repartition(F.shiftright("bucket", 1)).sortWithinPartitions("bucket")
     return dealt.mapInArrow(run, "a bigint, b bigint")
 
 
