@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from ..functions.patterns import path_length, path_pattern
 from ..sources.graph import SCHEMA_ROWS, KnowledgeGraph
-from .lineage import store
+from .lineage import SALTS, store
 
 POSTING_COLUMNS = ["word", "pattern_id", "root", "root_type", "nodes", "attrs", "len", "pr", "sim"]
 
@@ -150,7 +150,7 @@ class PathIndex:
             raise ValueError(f"unknown layout {layout!r}")
         keys = ["word", "pattern_id", "root"] if layout == "pattern" else ["root", "word", "pattern_id"]
         bucket = F.pmod(F.xxhash64(keys[0]), F.lit(buckets)).cast("int")
-        rows = self.postings().withColumn("bucket", bucket).repartition(buckets, "bucket").sortWithinPartitions("bucket", *keys)
+        rows = self.postings().withColumn("bucket", bucket).repartition("bucket", F.pmod(F.xxhash64("root"), F.lit(SALTS))).sortWithinPartitions("bucket", *keys)
         rows.write.mode("overwrite").partitionBy("bucket").parquet(f"{path}/postings_{layout}")
         self.patterns.write.mode("overwrite").parquet(f"{path}/patterns")
         self.paths.write.mode("overwrite").parquet(f"{path}/paths")
@@ -211,5 +211,5 @@ def build_index(graph: KnowledgeGraph, d: int = 3, materialise: str = "split", s
     index = PathIndex(graph, d, paths, patterns)
     if materialise == "full":
         full = index.postings()
-        index = replace(index, full=store(full, by="word", sort=["word", "pattern_id", "root"]) if stored else full)
+        index = replace(index, full=store(full, by="word", salt="root", sort=["word", "pattern_id", "root"]) if stored else full)
     return replace(index, build_seconds=time.time() - began)

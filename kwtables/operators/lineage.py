@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -16,15 +17,20 @@ def shared_folder(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
-def store(df: DataFrame, by: str | None = None, sort: list[str] | None = None, partitions: int | None = None) -> DataFrame:
+#: Ways in which the rows of one key are dealt, so that a key with a large share of all rows is not one task.
+SALTS = 64
+
+
+def store(df: DataFrame, by: str | None = None, salt: str | None = None, sort: list[str] | None = None) -> DataFrame:
     """``df`` written as Parquet in the shared folder and read back: short plans, pruned columns, file statistics.
 
-    Rows are dealt by ``by`` and sorted within files by ``sort``, so that equality filters skip row groups.
+    Rows are dealt by ``by`` (a key's rows over SALTS places if ``salt`` names a second column) and sorted within files by
+    ``sort``, so that equality filters skip row groups.
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/tables/{uuid.uuid4().hex}"
     if by is not None:
-        df = df.repartition(partitions, by) if partitions else df.repartition(by)
+        df = df.repartition(by, *([F.pmod(F.xxhash64(salt), F.lit(SALTS))] if salt else []))
     if sort:
         df = df.sortWithinPartitions(*sort)
     df.write.parquet(path)
