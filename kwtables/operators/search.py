@@ -16,6 +16,7 @@ from ..functions.patterns import edges_of, height, is_tree, root_sample
 from ..functions.scoring import ScoreSpec, order_key
 from ..sources.graph import KnowledgeGraph
 from .index import PathIndex, pattern_dictionary, schema_words, text_words
+from .lineage import store
 
 VALIDITY = ("tree", "product")
 #: Chosen patterns (k for each root type) are broadcast up to this many rows.
@@ -317,20 +318,24 @@ def _typed(index: PathIndex, postings: DataFrame, q: Query, k: int, lam: float,
     grouped = group_trees(join_trees(postings.join(sampled, ["root", "root_type"], "left_semi"), q, check=check), q)
     scaled = grouped.join(F.broadcast(rates), "root_type").withColumn("score", F.col("score") / F.col("rate") if q.score.agg in ("sum", "count") else F.col("score"))
     leaders = scaled.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).select("root_type", *q.ids, F.col("score").alias("score_est"))
-    chosen = F.broadcast(leaders)  # at most k rows for each root type
-    alive = nonempty_roots(postings, q).join(F.broadcast(leaders.select("root_type", *q.ids)), ["root_type", *q.ids], "left_semi")
-    exact = group_trees(_expand(alive, postings, q, check), q)
-    return exact.join(chosen, ["root_type", *q.ids])
+    leaders = store(leaders)  # at most k rows for each root type, read several times below
+    small = F.broadcast if leaders.count() <= CHOSEN_ROWS else (lambda x: x)
+    exact = group_trees(_expand(postings.join(roots, ["root", "root_type"], "left_semi"), q, leaders, small, check), q)
+    return exact.join(small(leaders), ["root_type", *q.ids])
 
 
-def _expand(alive: DataFrame, postings: DataFrame, q: Query, check: bool | None) -> DataFrame:
-    """Subtrees of given (root, pattern) combinations."""
+def _expand(postings: DataFrame, q: Query, chosen: DataFrame, small, check: bool | None) -> DataFrame:
+    """Subtrees of chosen patterns (root_type, p1..) over all roots; every prefix that no chosen pattern has is dropped at once."""
     check = q.validity == "tree" if check is None else check
-    acc = alive
+    acc = None
     for i, f in enumerate(_frames(postings, q, check), 1):
+        f = f.join(small(chosen.select("root_type", f"p{i}").distinct()), ["root_type", f"p{i}"], "left_semi")
         f = f.withColumn(f"edges{i}", edges_of(F.col(f"nodes{i}"), F.col(f"attrs{i}"))).drop(f"nodes{i}", f"attrs{i}") if check else f
-        acc = acc.join(f, ["root", "root_type", f"p{i}"])
-        if check and i > 1:
+        if acc is None:
+            acc = f
+            continue
+        acc = acc.join(f, ["root", "root_type"]).join(small(chosen.select("root_type", *q.ids[:i]).distinct()), ["root_type", *q.ids[:i]], "left_semi")
+        if check:
             acc = acc.where(is_tree([F.col(f"edges{j}") for j in range(1, i + 1)]))
     for c in q.score.columns:
         acc = acc.withColumn(c, sum((F.col(f"{c}{i}") for i in range(2, len(q.words) + 1)), F.col(f"{c}1")))
