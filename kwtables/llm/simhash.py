@@ -278,8 +278,8 @@ def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
         state = new.groupBy("u").agg(F.count("v").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("n")).first()
         pairs = new
         if state["n"] <= 1 and new.select(F.col("v").alias("u")).distinct().join(new, "u", "left_semi").isEmpty():
-            break
-    return pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            return pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))
+    raise RuntimeError(f"components still open after {most_rounds} rounds")
 
 
 def near_duplicates(docs: DataFrame, shingle: int, radius: int, families: int = 1, radius_all: int | None = None, probed: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
