@@ -121,5 +121,31 @@ FROM doc LEFT JOIN covered ON doc.doc_id = covered.doc_id LEFT JOIN matched ON d
 """
 
 
+#: Fractional ranks by windows over whole sources; the checksum runs over the bytes with a table made by its rule.
+OP10_SQL = r"""
+WITH step AS (
+  SELECT list_transform(range(256), lambda n: list_reduce([n, 0, 0, 0, 0, 0, 0, 0, 0], lambda c, x: xor(c >> 1, 3988292384 * (c & 1)))) AS t
+), doc AS (
+  SELECT doc_id, coalesce(source, chr(0) || 'null') AS stratum, encode(coalesce(text, '')) AS body,
+    CAST('0x' || substr(md5('interleave:' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 15) AS BIGINT) AS o
+  FROM documents
+), summed AS (
+  SELECT doc_id, stratum, o, octet_length(body) + 1 AS size,
+    xor(4294967295, list_reduce(list_prepend(CAST(4294967295 AS BIGINT), list_transform(regexp_extract_all(hex(body), '..'), lambda h: CAST('0x' || h AS BIGINT))),
+      lambda c, b: xor(c >> 8, t[xor(c, b) % 256 + 1]))) AS text_crc32
+  FROM doc, step
+), ranked AS (
+  SELECT *, (row_number() OVER (PARTITION BY stratum ORDER BY o, doc_id) - CAST(0.5 AS DOUBLE)) / count(*) OVER (PARTITION BY stratum) AS fraction FROM summed
+), placed AS (
+  SELECT *, row_number() OVER (ORDER BY fraction, stratum, o, doc_id) - 1 AS position, count(*) OVER () AS n FROM ranked
+), dealt AS (
+  SELECT *, position * 16 // n AS s FROM placed
+)
+SELECT doc_id, CAST(size AS BIGINT) AS size, CAST(text_crc32 AS BIGINT) AS text_crc32, 'rows' AS law, CAST(s AS INTEGER) AS shard,
+  CAST(row_number() OVER (PARTITION BY s ORDER BY position) - 1 AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard
+FROM dealt
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op3_decontamination": OP3_SQL}
+    return {"op3_decontamination": OP3_SQL, "op10_interleaved_shards": OP10_SQL}
