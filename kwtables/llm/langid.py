@@ -29,6 +29,8 @@ CELL_BITS = 12
 CELLS = 1 << CELL_BITS
 SAMPLE = 400
 CENTROIDS = 4
+#: Groups of input partitions that are ranked apart first; the last ranking reads at most SALTS * SAMPLE rows of a language.
+SALTS = 64
 MOST_LANGUAGES = 400
 NO_LANGUAGE = "und"
 #: Rejected are texts farther than this multiple of the farthest training distance, as an angle-free cosine distance.
@@ -101,8 +103,10 @@ def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id",
     if where is not None:
         labelled = labelled.where(where)
     key = F.xxhash64(F.col(id_col), F.lit("language"))
-    slim = labelled.select(F.col(lang_col).alias("lang"), key.alias("key"))
-    ranked = slim.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("key"))).where(F.col("n") <= sample)
+    # the least keys of each language in two steps, so that a frequent language is first ranked in many tasks
+    slim = labelled.select(F.col(lang_col).alias("lang"), key.alias("key"), (F.spark_partition_id() % SALTS).alias("salt"))
+    least = slim.withColumn("n", F.row_number().over(Window.partitionBy("lang", "salt").orderBy("key"))).where(F.col("n") <= sample)
+    ranked = least.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("key"))).where(F.col("n") <= sample)
     limits = ranked.groupBy("lang").agg(F.max("key").alias("most")).orderBy("lang").limit(MOST_LANGUAGES).collect()
     if not limits:
         return {"langs": [], "idf": None, "centroids": None, "owner": [], "reject": []}
