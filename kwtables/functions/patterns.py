@@ -40,6 +40,13 @@ def is_tree(edge_sets: list[Column]) -> Column:
     return F.size(edges) == F.size(F.array_distinct(F.transform(edges, lambda e: e["dst"])))
 
 
+def is_minimal(edge_sets: list[Column], ends: list[Column]) -> Column:
+    """Whether every leaf of the union of the edges is where some word's path ends; true for any union of such paths."""
+    edges = F.array_distinct(F.flatten(F.array(*edge_sets)))
+    leaves = F.array_except(F.transform(edges, lambda e: e["dst"]), F.transform(edges, lambda e: e["src"]))
+    return F.size(F.array_except(leaves, F.array(*ends))) == 0
+
+
 def root_sample(root: Column, seed: int, rate: Column) -> Column:
     """Bernoulli choice by a digest of the root: the same roots in any engine and any partitioning."""
     digest = F.conv(F.substring(F.md5(F.concat_ws("|", root.cast("string"), F.lit(str(seed))).cast("binary")), 1, 8), 16, 10).cast("double")
