@@ -9,15 +9,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kwtables.llm import bpe, decontaminate, langid, secret_scan, simhash
+from kwtables.llm import bpe, decontaminate, jaccard, langid, secret_scan
 from kwtables.llm.common import broadcast_if, cut
 from kwtables.llm.queries import held_out, tokenizer_path
 
-SHINGLE, SIMILARITY, FAMILIES, PROBED = 5, 0.8, 4, 2
+SHINGLE, SIMILARITY = 5, "0.8"
 BROADCAST_IDS = 1_000_000
-RADIUS = simhash.bits_for(SIMILARITY, 1)
-#: Over all families: the expectation at that similarity and one standard deviation of it.
-RADIUS_ALL = simhash.bits_for(SIMILARITY, FAMILIES) + 5
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -32,8 +29,8 @@ def without(docs: DataFrame, found: DataFrame) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of least id of each group of near copies (five-word shingles, estimated similarity 0.8 or more)."""
-    groups = simhash.near_duplicates(docs, SHINGLE, RADIUS, FAMILIES, RADIUS_ALL, PROBED)
+    """Keeps the document of least id of each group of near copies (five-word shingles, Jaccard similarity 0.8 or more, exactly)."""
+    groups = jaccard.near_duplicates(docs, SHINGLE, SIMILARITY)
     return without(docs, groups.where(F.col("doc_id") != F.col("component")))
 
 

@@ -1,0 +1,236 @@
+"""Near-duplicates by exact Jaccard similarity of word shingles: prefixes of sorted sets, then exact checks of the pairs.
+
+A text is the set of its lower-cased word shingles (as 64-bit hashes). With every set sorted by one order over all shingles,
+two sets of similarity t or more share a member among the first ``n - ceil(t n) + 1`` of each, so the documents that share
+such a member are all the pairs that can reach t; none is lost, whatever the order. Members that a sample of the documents
+holds often come last in it, which keeps the groups of a shared member small.
+
+Pairs are checked in two rounds. First each group, sorted by size, is checked along its neighbours, and what reaches t is
+closed into components; then every pair of a group that is not yet in one component is checked. A group of near copies thus
+costs about as many checks as it has members, and the components are those of all pairs of similarity t or more. Large groups
+are paired block by block. Equal sets are one node from the start.
+
+Defined results: null or wordless texts are equal to each other and to nothing else; texts with fewer words than a shingle
+are one shingle; the component is the least id reachable; null ids cannot name a component and are left out of it;
+repeated rows give repeated results; other columns are ignored.
+"""
+
+from __future__ import annotations
+
+import hashlib
+from collections.abc import Iterator
+from fractions import Fraction
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import broadcast_if, cut, ship
+from .simhash import SEED, components
+
+#: Documents in the sample that finds common shingles, how many of them hold one, and how many are kept; only the order depends on these.
+SAMPLE, COMMON_DOCS, MOST_COMMON = 4_000, 3, 200_000
+#: Bits of a set's parity map: two sets differ in as many members at least as their maps differ in bits.
+MAP_BITS = 1_024
+#: Rows of a group that are paired in one block.
+BLOCK_ROWS = 2_048
+#: Pairs formed at once.
+CHUNK_PAIRS = 1 << 20
+#: Ids within this number are broadcast; beyond it they are joined by shuffle.
+BROADCAST_IDS = 1_000_000
+
+
+def shingles(text: str | None, words: int) -> np.ndarray:
+    """Sorted distinct hashes of a text's lower-cased word shingles."""
+    from xxhash import xxh64_intdigest
+
+    tokens = (text or "").encode("utf-8", "replace").lower().split()
+    if not tokens:
+        return np.empty(0, dtype=np.int64)
+    joined = b" ".join(tokens)
+    ends = np.cumsum(np.fromiter(map(len, tokens), dtype=np.int64, count=len(tokens)) + 1) - 1
+    if len(tokens) < words:
+        starts, stops = [0], [len(joined)]
+    else:
+        starts = [0, *(ends[: len(tokens) - words] + 1).tolist()]
+        stops = ends[words - 1 :].tolist()
+    return np.unique(np.fromiter((xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts, stops, strict=True)), dtype=np.uint64, count=len(starts)).view(np.int64))
+
+
+def needed(n: int, similarity: Fraction) -> int:
+    """Members of a set of ``n`` that a set of that similarity shares at least."""
+    return -(-n * similarity.numerator // similarity.denominator)
+
+
+def prefix(members: np.ndarray, common: np.ndarray, similarity: Fraction) -> np.ndarray:
+    """The first members in the shared order: rare ones by hash, then common ones by hash."""
+    if len(common):
+        at = np.minimum(np.searchsorted(common, members), len(common) - 1)
+        often = common[at] == members
+        members = np.concatenate([members[~often], members[often]])
+    return members[: len(members) - needed(len(members), similarity) + 1]
+
+
+def parity_map(members: np.ndarray) -> bytes:
+    n = np.bincount((members.view(np.uint64) % np.uint64(MAP_BITS)).astype(np.int64), minlength=MAP_BITS)
+    return np.packbits((n & 1).astype(np.uint8)).tobytes()
+
+
+def common_shingles(docs: DataFrame, words: int, id_col: str, text_col: str) -> np.ndarray:
+    """Sorted hashes of the shingles that several documents of a sample hold, not all of them equal."""
+    every = max(1, docs.count() // SAMPLE)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            held = [s for t in batch.column(0) if len(s := shingles(t.as_py(), words))]
+            if held:
+                of = np.repeat(np.array([np.bitwise_xor.reduce(s) for s in held], dtype=np.int64), [len(s) for s in held])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(held)), pa.array(of)], names=["s", "of"])
+
+    rows = docs.where(F.pmod(F.xxhash64(F.col(id_col), F.lit("order")), F.lit(every)) == 0).select(text_col).mapInArrow(run, "s bigint, of bigint")
+    often = rows.groupBy("s").agg(F.count("of").alias("count"), F.min("of").alias("low"), F.max("of").alias("high")).where((F.col("count") >= COMMON_DOCS) & (F.col("low") != F.col("high")))
+    return np.sort(np.array([r["s"] for r in often.orderBy(F.desc("count"), "s").limit(MOST_COMMON).collect()], dtype=np.int64))
+
+
+def sets(docs: DataFrame, words: int, similarity: Fraction, common: np.ndarray, id_col: str, text_col: str) -> DataFrame:
+    """``id_col, d0, d1, n, map, prefix``: digest, size, parity map and prefix of each document's set."""
+    ship(docs.sparkSession)
+    cast = docs.sparkSession.sparkContext.broadcast(common)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            digests, sizes, maps, firsts = [], [], [], []
+            for t in batch.column(1):
+                s = shingles(t.as_py(), words)
+                digests.append(np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), dtype=np.int64))
+                sizes.append(len(s))
+                maps.append(parity_map(s))
+                firsts.append(prefix(s, cast.value, similarity) if len(s) else s)
+            d = np.array(digests, dtype=np.int64).reshape(-1, 2)
+            ends = np.cumsum([0, *map(len, firsts)]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(firsts) if firsts else np.empty(0, dtype=np.int64)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(d[:, 0]), pa.array(d[:, 1]), pa.array(sizes, pa.int32()), pa.array(maps, pa.binary()), lists], names=[id_col, "d0", "d1", "n", "map", "prefix"])
+
+    kind = docs.schema[id_col].dataType.simpleString()
+    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, d0 bigint, d1 bigint, n int, map binary, prefix array<bigint>")
+
+
+def _groups(rows: DataFrame, similarity: Fraction, neighbours: bool) -> DataFrame:
+    """Pairs ``a < b`` of ``rows`` (s, n, node; with ``root`` unless ``neighbours``) of equal s whose sizes allow the similarity."""
+    ship(rows.sparkSession)
+    num, den = similarity.numerator, similarity.denominator
+
+    def pairs(data: np.ndarray) -> Iterator[pa.RecordBatch]:
+        last = np.flatnonzero(np.append(data[1:, 0] != data[:-1, 0], True))
+        ends = np.repeat(last + 1, np.diff(np.append(-1, last)))
+        first = np.arange(len(data))
+        lens = np.minimum(ends - first - 1, 1) if neighbours else ends - first - 1
+        first, lens = first[lens > 0], lens[lens > 0]
+        at = 0
+        while at < len(first):
+            stop = at + max(1, int(np.searchsorted(np.cumsum(lens[at:]), CHUNK_PAIRS, side="right")))
+            i = np.repeat(first[at:stop], lens[at:stop])
+            j = i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(lens[at:stop]) - lens[at:stop], lens[at:stop])
+            near = (data[j, 1] * num <= data[i, 1] * den) & (data[i, 2] != data[j, 2])  # rows come sorted by size
+            if not neighbours:
+                near &= data[i, 3] != data[j, 3]
+            x, y = data[i[near], 2], data[j[near], 2]
+            if len(x):
+                found = np.unique(np.stack([np.minimum(x, y), np.maximum(x, y)], axis=1), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], names=["a", "b"])
+            at = stop
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []
+        size = 0
+        for batch in batches:
+            held.append(np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns], axis=1))
+            size += len(held[-1])
+            if size < 100_000:
+                continue
+            data = np.concatenate(held)
+            start = int(np.flatnonzero(data[:, 0] != data[-1, 0])[-1]) + 1 if (data[:, 0] != data[-1, 0]).any() else 0  # the last group may go on
+            if start:
+                yield from pairs(data[:start])
+            held, size = [data[start:]], 0
+        if held:
+            yield from pairs(np.concatenate(held))
+
+    return rows.repartition("s").sortWithinPartitions("s", "n", "node").mapInArrow(run, "a bigint, b bigint").distinct()
+
+
+def possible(pairs: DataFrame, nodes: DataFrame, similarity: Fraction) -> DataFrame:
+    """The ``pairs`` whose sizes and parity maps allow the similarity; no pair that has it is left out."""
+    num, den = similarity.numerator, similarity.denominator
+
+    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            both = batch.column(2).to_numpy(zero_copy_only=False).astype(np.int64)
+            x, y = (np.frombuffer(b"".join(batch.column(i).to_pylist()), dtype=np.uint8).reshape(len(both), -1) for i in (3, 4)) if len(both) else (np.empty((0, 1), dtype=np.uint8),) * 2
+            differ = np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64)
+            yield batch.select([0, 1]).filter(pa.array(differ * (den + num) <= (den - num) * both))
+
+    side = lambda c, n, m: nodes.select(F.col("node").alias(c), F.col("n").alias(n), F.col("map").alias(m))
+    rows = pairs.join(side("a", "p", "x"), "a").join(side("b", "q", "y"), "b")
+    return cut(rows.select("a", "b", (F.col("p") + F.col("q")).alias("both"), "x", "y").mapInArrow(check, "a bigint, b bigint").distinct())
+
+
+def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, words: int, similarity: Fraction, id_col: str, text_col: str) -> DataFrame:
+    """The ``pairs`` (a, b) whose sets have the similarity or more."""
+    ship(docs.sparkSession)
+    num, den = similarity.numerator, similarity.denominator
+    pairs = possible(pairs, nodes, similarity)
+    ids = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct())
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingles(t.as_py(), words).tobytes() for t in batch.column(1)], pa.binary())], names=["node", "members"])
+
+    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2), batch.column(3), strict=True):
+                x, y = np.frombuffer(x.as_py(), dtype=np.int64), np.frombuffer(y.as_py(), dtype=np.int64)
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(both * den >= (len(x) + len(y) - both) * num)
+            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+    texts = docs.select(F.col(id_col).cast("bigint").alias("node"), text_col).where(F.col("node").isNotNull())
+    # an id that repeats with another text has several sets, each of which links it
+    held = cut(texts.join(broadcast_if(ids, ids.count(), BROADCAST_IDS), "node", "left_semi").mapInArrow(read, "node bigint, members binary").distinct())
+    sides = pairs.join(held.select(F.col("node").alias("a"), F.col("members").alias("x")), "a").join(held.select(F.col("node").alias("b"), F.col("members").alias("y")), "b")
+    return cut(sides.select("a", "b", "x", "y").mapInArrow(check, "a bigint, b bigint").distinct())
+
+
+def link(nodes: DataFrame, docs: DataFrame, words: int, similarity: Fraction, id_col: str, text_col: str) -> DataFrame:
+    """``node, root`` of the components of all pairs of ``nodes`` (node, n, map, prefix) with the similarity or more."""
+    posted = cut(nodes.select("node", "n", F.explode("prefix").alias("s")))
+    tried = cut(_groups(posted.select("s", "n", "node"), similarity, True))
+    edges = verified(tried, nodes, docs, words, similarity, id_col, text_col)
+    roots = components(edges)
+    size = roots.count()
+    rooted = posted.join(broadcast_if(roots, size, BROADCAST_IDS), "node", "left").select("s", "n", "node", F.coalesce("root", "node").alias("root"))
+    mixed = cut(rooted.groupBy("s").agg(F.count("root").alias("count"), F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("s", "count"))
+    rows = rooted.join(broadcast_if(mixed, mixed.count(), BROADCAST_IDS), "s")
+    # large groups by pairs of blocks, each a group of its own
+    blocks = F.ceil(F.col("count") / BLOCK_ROWS).cast("int")
+    own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    key = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.least(k, F.col("own")) * F.col("blocks") + F.greatest(k, F.col("own")))
+    rows = rows.withColumn("blocks", blocks).withColumn("own", own).select("s", F.explode(key).alias("pair"), "n", "node", "root")
+    rows = rows.select(F.xxhash64("s", "pair").alias("s"), "n", "node", "root")
+    rest = cut(_groups(rows, similarity, False).join(tried, ["a", "b"], "left_anti"))
+    return components(edges.unionByName(verified(rest, nodes, docs, words, similarity, id_col, text_col)))
+
+
+def near_duplicates(docs: DataFrame, words: int, similarity: str = "0.8", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``id_col, n, component`` for each row; the component is the least id linked directly or through others."""
+    exact = Fraction(similarity)
+    ship(docs.sparkSession)
+    found = cut(sets(docs, words, exact, common_shingles(docs, words, id_col, text_col), id_col, text_col))
+    named = found.where(F.col(id_col).isNotNull())
+    nodes = named.groupBy("d0", "d1").agg(F.min(F.struct(F.col(id_col).cast("bigint").alias("node"), "n", "map", "prefix")).alias("x")).select("d0", "d1", "x.*")
+    nodes = cut(nodes)
+    roots = link(nodes.select("node", "n", "map", "prefix"), docs, words, exact, id_col, text_col)
+    of = nodes.join(roots, "node", "left").select("d0", "d1", F.coalesce("root", "node").alias("component"))
+    return found.select(id_col, "n", "d0", "d1").join(of, ["d0", "d1"], "left").select(id_col, "n", "component")

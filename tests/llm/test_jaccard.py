@@ -1,0 +1,62 @@
+import random
+from collections import defaultdict
+
+import corpus_pipeline
+from kwtables.llm import jaccard
+
+from test_groups import ODD, closed
+
+
+def shingle_set(text, words=5):
+    w = (text or "").lower().split()
+    return frozenset(tuple(w[i : i + words]) for i in range(len(w) - words + 1)) or frozenset([tuple(w)] if w else [])
+
+
+def brute(texts, similarity=0.8):
+    """Components of all pairs of that Jaccard similarity, from counts of shared shingles."""
+    sets, holders, shared = [shingle_set(t) for t in texts], defaultdict(list), defaultdict(int)
+    for i, s in enumerate(sets):
+        for x in s:
+            holders[x].append(i)
+    for held in holders.values():
+        for n, i in enumerate(held):
+            for j in held[:n]:
+                shared[i, j] += 1
+    pairs = [p for p, n in shared.items() if n >= similarity * (len(sets[p[0]]) + len(sets[p[1]]) - n)]
+    empty = [i for i, s in enumerate(sets) if not s]
+    return closed(len(texts), pairs + [(empty[0], i) for i in empty[1:]])
+
+
+def edited_texts(seed, n=60):
+    """Texts with copies on both sides of 0.8, and a group of copies that share one passage."""
+    rng = random.Random(seed)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(5))
+    out = []
+    for _ in range(n):
+        w = [word() for _ in range(rng.randint(30, 200))]
+        out.append(" ".join(w))
+        for _ in range(4):
+            x = list(w)
+            for _ in range(max(1, round(len(x) * rng.choice([0.01, 0.02, 0.022, 0.025, 0.03])))):
+                x[rng.randrange(len(x))] = word()
+            out.append(" ".join(x))
+    common = " ".join(word() for _ in range(40))
+    out += [common + " " + " ".join(word() for _ in range(rng.randint(0, 40))) for _ in range(40)]
+    rng.shuffle(out)
+    return out + ODD
+
+
+def test_components_of_exact_similarity(docs, monkeypatch):
+    t = edited_texts(4)
+    for block, sample in ((jaccard.BLOCK_ROWS, jaccard.SAMPLE), (8, 50)):
+        monkeypatch.setattr(jaccard, "BLOCK_ROWS", block)
+        monkeypatch.setattr(jaccard, "SAMPLE", sample)
+        rows = sorted(jaccard.near_duplicates(docs(t), 5).collect(), key=lambda r: r["doc_id"])
+        assert [r["component"] for r in rows] == brute(t)
+    assert jaccard.near_duplicates(docs(t).limit(0), 5).count() == 0
+
+
+def test_stage_keeps_the_least_of_each_exact_group(spark, docs, sf_dir):
+    t = edited_texts(8)
+    kept = {r["doc_id"] for r in corpus_pipeline.drop_near_duplicates(spark, docs(t), sf_dir).collect()}
+    assert kept == {i for i, c in enumerate(brute(t)) if i == c}
