@@ -3,8 +3,9 @@
 A text's letters (lower-cased, everything else a break) give 1- to 3-grams of code points that are hashed into a fixed
 number of cells; cell counts are dampened, weighted by inverse document frequency and normalised. Spherical k-means
 splits each language's training vectors into a few centroids; a text takes the language of the nearest centroid by
-cosine. Training also sets, for each centroid's language, the distance beyond which a text is rejected: a margin past the
-farthest of its own training vectors, so that clean texts stay.
+cosine. Training also sets, for each language and number of distinct cells, the cosine below which a text is rejected: a third
+of the least that held-out texts of at least that size reach on centroids learned without them, so that clean texts stay.
+Texts of fewer than FEW_CELLS cells tell too little and go only at a cosine near zero.
 
 Training reads at most SAMPLE labelled rows of each language, those of least seeded hash over the whole table, and only
 their fixed-size vectors reach the driver. Languages are taken from the labels, at most MOST_LANGUAGES of them.
@@ -33,10 +34,12 @@ CENTROIDS = 4
 SALTS = 64
 MOST_LANGUAGES = 400
 NO_LANGUAGE = "und"
-#: Rejected are texts farther than this multiple of the farthest training distance, as an angle-free cosine distance.
-REJECT_MARGIN = 1.25
-#: and than this in any case, so that very short texts stay.
-LEAST_REJECTED = 0.98
+#: Rejected are texts below this share of the least held-out cosine.
+REJECT_SHARE = 1 / 3
+#: Below so many distinct cells a text is very short and is rejected only under this cosine; so is any without held-out texts.
+FEW_CELLS, SHORT_COSINE = 64, 0.02
+#: One in so many training texts is held out for the limits; under so many of a size, those of all languages, then of smaller sizes, count.
+HOLD_EVERY, LEAST_HELD = 4, 20
 PIECE = 1 << 20
 _letters: list[np.ndarray] = []
 
@@ -95,6 +98,44 @@ def cluster(v: np.ndarray, k: int, rounds: int = 15) -> np.ndarray:
     return c
 
 
+def _bin(cells: np.ndarray | int) -> np.ndarray:
+    """Size class of a text by its number of distinct cells: powers of two."""
+    return np.log2(np.maximum(cells, 1)).astype(np.int64)
+
+
+def held_cosines(mine: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(size classes, cosines) of one language's held-out vectors against centroids of the others; equal vectors count once."""
+    new = np.append(True, (mine[1:] != mine[:-1]).any(axis=1)) if len(mine) else np.empty(0, dtype=bool)  # rows come sorted
+    distinct = mine[new]
+    held = np.arange(len(distinct)) % HOLD_EVERY == HOLD_EVERY - 1
+    if not held.any():
+        return np.empty(0, dtype=np.int64), np.empty(0)
+    c = cluster(distinct[~held], k)
+    return _bin((distinct[held] > 0).sum(axis=1)), np.max(distinct[held] @ c.T, axis=1)
+
+
+def limits_of(held: list[tuple[np.ndarray, np.ndarray]]) -> list[list[float]]:
+    """Least cosine that stays, for each language and size class."""
+    bins, cosines = np.concatenate([b for b, _ in held]), np.concatenate([c for _, c in held])
+    out = []
+    for b, c in held:
+        own = []
+        for size in range(CELL_BITS + 1):
+            found = c[b >= size]
+            down = size
+            while len(found) < LEAST_HELD and down >= 0:
+                found = cosines[bins >= down]
+                down -= 1
+            short = 2 ** (size + 1) <= FEW_CELLS or not len(found)
+            own.append(SHORT_COSINE if short else float(max(SHORT_COSINE, found.min() * REJECT_SHARE)))
+        out.append(own)
+    return out
+
+
+def is_rejected(model: dict, language: int, cosine: float, counts: np.ndarray) -> bool:
+    return bool(cosine < model["reject"][language][int(_bin(np.count_nonzero(counts)))])
+
+
 def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE, centroids: int = CENTROIDS) -> dict:
     """Model from the labelled rows of ``docs`` that satisfy ``where``: a few hundred kilobytes of numbers."""
     ship(docs.sparkSession)
@@ -139,15 +180,14 @@ def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id",
     idf = (np.log((1 + len(x)) / (1 + share * len(x))) + 0.2).astype(np.float32)
     x *= idf  # in place: the driver holds one matrix; vectors come dampened already
     x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
-    out, owners, reject = [], [], []
+    out, owners, held = [], [], []
     for i, lang in enumerate(langs):
         mine = x[owner == lang]
         c = cluster(mine, centroids)
         out.append(c)
         owners += [i] * len(c)
-        far = 1 - np.max(mine @ c.T, axis=1)
-        reject.append(float(min(1.0, max(LEAST_REJECTED, far.max() * REJECT_MARGIN))))
-    return {"langs": langs, "idf": idf.tobytes(), "centroids": np.concatenate(out).astype(np.float32).tobytes(), "owner": owners, "reject": reject}
+        held.append(held_cosines(mine, centroids))
+    return {"langs": langs, "idf": idf.tobytes(), "centroids": np.concatenate(out).astype(np.float32).tobytes(), "owner": owners, "reject": limits_of(held)}
 
 
 def predict(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -174,7 +214,7 @@ def predict(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str
                 i = int(np.argmax(cosine))
                 langs.append(m["langs"][owner[i]])
                 scores.append(round(float(min(1.0, max(0.0, cosine[i]))), 6))
-                rejected.append(bool(1 - cosine[i] > m["reject"][owner[i]]))
+                rejected.append(is_rejected(m, owner[i], cosine[i], n))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(rejected, pa.bool_())], names=[id_col, "lang_pred", "score", "rejected"])
 
     kind = docs.schema[id_col].dataType.simpleString()
@@ -198,7 +238,7 @@ def keep_identified(docs: DataFrame, model: dict, text_col: str = "text") -> Dat
             for t in batch.column(at):
                 n = cell_counts(t.as_py())
                 cosine = None if n is None else centres @ weigh(n, idf)
-                keep.append(n is not None and bool(1 - cosine.max() <= m["reject"][m["owner"][int(np.argmax(cosine))]]))
+                keep.append(n is not None and not is_rejected(m, m["owner"][int(np.argmax(cosine))], cosine.max(), n))
             yield batch.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, schema)
