@@ -51,12 +51,18 @@ SALTS = 32
 BROADCAST_CHARS = 32_000_000
 LONGEST_PERIOD = 4
 
+MOST_NAMES = 6
+#: A text that never differs is template if so many different pages have it.
+TEMPLATE_PAGES = 3
 Node = list  # [symbol, children]; a text is [None, text, linked characters]
 Item = list  # [symbol, optional, repeated, children or None, constant, characters, linked characters, pages]
 
 
 def _symbol(tag: str, attrs: str) -> str:
-    """Tag with its sorted classes, id and role; digits are blurred so that numbered ids agree."""
+    """Tag with its sorted classes, id and role; digits are blurred so that numbered ids agree.
+
+    Six names are kept; what the others say (a cue, the article, hidden) stays as a mark.
+    """
     if not attrs or "=" not in attrs and "hidden" not in attrs:
         return tag
     names = []
@@ -66,7 +72,18 @@ def _symbol(tag: str, attrs: str) -> str:
             names.append("~hidden")
         elif key != "aria-hidden":
             names += re.sub(r"[0-9]+", "0", value.lower()).split()
-    return ".".join([tag, *sorted(set(names))[:6]])
+    names = sorted(set(names))
+    kept, others = names[:MOST_NAMES], names[MOST_NAMES:]
+    marks = [mark for mark, found in (("~cue", _has_cue(others)), ("~hidden", "~hidden" in others), ("~main", _names_main(others))) if found]
+    return ".".join([tag, *kept, *marks])
+
+
+def _has_cue(names: list[str]) -> bool:
+    return any(w in CUES for n in names for w in re.split(r"[-_]+", n))
+
+
+def _names_main(names: list[str]) -> bool:
+    return "main" in names or any(n in MAIN_CUES for n in names)
 
 
 def parse(page: str) -> Node:
@@ -235,12 +252,12 @@ def is_boilerplate(symbol: str, inside_main: bool) -> bool:
     tag, *names = symbol.split(".")
     if tag in BOILERPLATE or tag == "header" and not inside_main or "~hidden" in names:
         return True
-    return tag not in ("article", "main", "body", "root") and any(w in CUES for n in names for w in re.split(r"[-_]+", n))
+    return tag not in ("article", "main", "body", "root") and ("~cue" in names or _has_cue(names))
 
 
 def is_main(symbol: str) -> bool:
     tag, *names = symbol.split(".")
-    return tag in ("article", "main") or "main" in names or any(n in MAIN_CUES for n in names)
+    return tag in ("article", "main") or "~main" in names or _names_main(names)
 
 
 def content_rule(wrapper: Item) -> dict:
