@@ -3,8 +3,8 @@
 A page becomes a tree of block elements with text slots; neighbours of one kind fold into repeated items, and repeated
 runs of kinds into repeated groups. Pages of one host are aligned one by one: items that one side lacks become optional,
 texts that differ become variable slots, texts that never differ stay constants of the template. The wrapper then says
-which slots hold the article: those inside the semantic article or main element if the host has one, else variable slots of
-low link density; slots below menus, headers, footers, side bars, notices, adverts, forms and comments never do. Extraction
+which slots hold the article: on pages with a semantic article or main element those inside it, on others variable slots of
+low link density (a text is template only where three different pages have it, copies counted once); slots below menus, headers, footers, side bars, notices, adverts, forms and comments never do. Extraction
 matches each page's slots with its host's wrapper, decodes references, joins white space, and joins blocks by line feeds.
 
 Inference is hierarchical: tasks align the pages they read, salted groups of a host align the tasks' wrappers, and one group
@@ -21,6 +21,7 @@ import html as html_module
 import json
 import re
 from collections.abc import Iterator
+from hashlib import blake2b
 from zlib import crc32
 
 import pyarrow as pa
@@ -50,12 +51,12 @@ SALTS = 32
 #: Wrappers of all hosts together are broadcast up to this many characters.
 BROADCAST_CHARS = 32_000_000
 LONGEST_PERIOD = 4
-
 MOST_NAMES = 6
 #: A text that never differs is template if so many different pages have it.
 TEMPLATE_PAGES = 3
+
 Node = list  # [symbol, children]; a text is [None, text, linked characters]
-Item = list  # [symbol, optional, repeated, children or None, constant, characters, linked characters, pages]
+Item = list  # [symbol, optional, repeated, children or None, constant, characters, linked characters, digests of up to TEMPLATE_PAGES pages]
 
 
 def _symbol(tag: str, attrs: str) -> str:
@@ -157,21 +158,27 @@ def clean(text: str) -> str:
     return SPACE.sub(" ", html_module.unescape(text)).strip()
 
 
-def generalise(node: Node) -> Item:
+def page_digest(tree: Node) -> int:
+    """Digest of what a page shows, so that copies count as one page."""
+    return int.from_bytes(blake2b(repr(tree).encode("utf-8", "replace"), digest_size=6).digest())
+
+
+def generalise(node: Node, page: int | None = None) -> Item:
     """A page's own wrapper: runs of one kind are repeated items, runs of kinds are repeated groups."""
+    page = page_digest(node) if page is None else page
     kids: list[Item] = []
     for c in node[1]:
         if c[0] is None:
             text = clean(c[1])
-            item = ["#", False, False, None, crc32(text.encode("utf-8", "replace")), len(c[1]), c[2], 1]
+            item = ["#", False, False, None, crc32(text.encode("utf-8", "replace")), len(c[1]), c[2], [page]]
         else:
-            item = generalise(c)
+            item = generalise(c, page)
         if kids and kids[-1][0] == item[0]:
             kids[-1] = merge(kids[-1], item)
             kids[-1][2] = True
         else:
             kids.append(item)
-    return [node[0], False, False, fold(kids), None, 0, 0, 1]
+    return [node[0], False, False, fold(kids), None, 0, 0, [page]]
 
 
 def fold(kids: list[Item]) -> list[Item]:
@@ -186,16 +193,17 @@ def fold(kids: list[Item]) -> list[Item]:
                 while [k[0] for k in kids[j : j + period]] == own:
                     group = [merge(a, b) for a, b in zip(group, kids[j : j + period], strict=True)]
                     j += period
-                kids = [*kids[:i], ["(" + " ".join(own) + ")", False, True, group, None, 0, 0, 1], *kids[j:]]
+                kids = [*kids[:i], ["(" + " ".join(own) + ")", False, True, group, None, 0, 0, []], *kids[j:]]
             i += 1
     return kids
 
 
 def merge(a: Item, b: Item) -> Item:
     """One item for both."""
+    pages = a[7] if a[7] == b[7] else sorted({*a[7], *b[7]})[:TEMPLATE_PAGES]
     if a[3] is None:
-        return [a[0], a[1] or b[1], a[2] or b[2], None, a[4] if a[4] == b[4] else None, a[5] + b[5], a[6] + b[6], a[7] + b[7]]
-    return [a[0], a[1] or b[1], a[2] or b[2], align(a[3], b[3]), None, 0, 0, a[7] + b[7]]
+        return [a[0], a[1] or b[1], a[2] or b[2], None, a[4] if a[4] == b[4] else None, a[5] + b[5], a[6] + b[6], pages]
+    return [a[0], a[1] or b[1], a[2] or b[2], align(a[3], b[3]), None, 0, 0, pages]
 
 
 def _as_group(kids: list[Item], group: Item) -> list[Item]:
@@ -203,7 +211,7 @@ def _as_group(kids: list[Item], group: Item) -> list[Item]:
     own = group[0][1:-1].split(" ")
     for i in range(len(kids) - len(own) + 1):
         if [k[0] for k in kids[i : i + len(own)]] == own:
-            return [*kids[:i], [group[0], False, False, kids[i : i + len(own)], None, 0, 0, 1], *kids[i + len(own) :]]
+            return [*kids[:i], [group[0], False, False, kids[i : i + len(own)], None, 0, 0, []], *kids[i + len(own) :]]
     return kids
 
 
@@ -261,7 +269,8 @@ def is_main(symbol: str) -> bool:
 
 
 def content_rule(wrapper: Item) -> dict:
-    """``paths``: where the article's texts stand; ``drop``: checksums of template texts that stand there too."""
+    """``main``: where texts of an article element stand; ``paths``: where those of pages without one stand;
+    ``drop``: checksums of template texts that stand there too."""
     slots: list[tuple[str, bool, Item]] = []
 
     def walk(item: Item, path: str, main: bool) -> None:
@@ -274,13 +283,11 @@ def content_rule(wrapper: Item) -> dict:
                 walk(k, f"{path}/{k[0]}", main or is_main(k[0]))
 
     walk(wrapper, "root", False)
-    if any(main for _, main, _ in slots):
-        return {"paths": sorted({p for p, main, _ in slots if main}), "drop": []}
-    pages = wrapper[7]
-    fixed = lambda k: k[4] is not None and pages > 2 and k[7] > 2
+    fixed = lambda k: k[4] is not None and len(k[7]) >= TEMPLATE_PAGES
     linked = lambda k: k[6] * 2 > k[5]
-    good = [(p, k) for p, _, k in slots if not fixed(k) and not linked(k)]
-    return {"paths": sorted({p for p, _ in good}), "drop": sorted({k[4] for _, _, k in slots if fixed(k)})}
+    other = [(p, k) for p, main, k in slots if not main]
+    good = {p for p, k in other if not fixed(k) and not linked(k)}
+    return {"main": sorted({p for p, main, _ in slots if main}), "paths": sorted(good), "drop": sorted({k[4] for _, k in other if fixed(k)})}
 
 
 def extract(page: str | None, rule: dict | None) -> str:
@@ -289,18 +296,23 @@ def extract(page: str | None, rule: dict | None) -> str:
         return ""
     tree = parse(page)
     rule = rule or content_rule(generalise(tree))
-    paths, drop, out = set(rule["paths"]), set(rule["drop"]), []
-    work: list[tuple[Node, str]] = [(tree, "root")]
+    main, paths, drop = set(rule["main"]), set(rule["paths"]), set(rule["drop"])
+    article, out, has_main = [], [], False
+    work: list[tuple[Node, str, bool, bool]] = [(tree, "root", False, False)]
     while work:
-        node, path = work.pop()
+        node, path, inside, below = work.pop()
         if node[0] is None:
-            if path in paths:
-                text = clean(node[1])
-                if text and not (drop and crc32(text.encode("utf-8", "replace")) in drop):
-                    out.append(text)
+            text = clean(node[1])
+            if text and path in main:
+                article.append(text)
+            elif text and path in paths and not (drop and crc32(text.encode("utf-8", "replace")) in drop):
+                out.append(text)
             continue
-        work += [(c, path if c[0] is None else f"{path}/{c[0]}") for c in reversed(node[1])]
-    return "\n".join(out)
+        below = below or is_boilerplate(node[0], inside)
+        inside = inside or not below and is_main(node[0])
+        has_main = has_main or inside
+        work += [(c, path if c[0] is None else f"{path}/{c[0]}", inside, below) for c in reversed(node[1])]
+    return "\n".join(article if has_main else out)
 
 
 def host_of(url: Column) -> Column:
