@@ -626,11 +626,11 @@ def query_set(spark, sf_dir):
 
 
 @query(
-    """SELECT o_orderkey, CAST(e.event_id AS BIGINT) AS event_id, e.event_type FROM (SELECT o_orderkey, o_custkey, o_orderdate + INTERVAL 10000 DAY AS at_time FROM orders WHERE o_orderpriority = '1-URGENT') o
+    """SELECT o_orderkey, CAST(e.event_id AS BIGINT) AS event_id, e.event_type FROM (SELECT o_orderkey, o_custkey, o_orderdate + INTERVAL 10000 DAY AS at_time FROM orders) o
 ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id, arg_max(event_type, event_id) AS event_type FROM events GROUP BY user_id, ts) e ON o.o_custkey = e.user_id AND o.at_time >= e.ts"""
 )
 def asof_attach(spark, sf_dir):
-    orders = spark.read.parquet(f"{sf_dir}/orders.parquet").where("o_orderpriority = '1-URGENT'").select("o_orderkey", F.col("o_custkey").alias("user_id"), F.expr("o_orderdate + INTERVAL 10000 DAY").cast("timestamp").alias("at_time"))
+    orders = spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey", F.col("o_custkey").alias("user_id"), F.expr("o_orderdate + INTERVAL 10000 DAY").cast("timestamp").alias("at_time"))
     events = spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", "event_type")
     return attach.asof(orders, events, "user_id", "at_time", "ts", ["event_id", "event_type"]).select("o_orderkey", "event_id", "event_type")
 
