@@ -619,10 +619,10 @@ def all_empty_counters(spark, sf_dir):
 
 
 @query(
-    f"{O.index('forward', 2, None)}, vocabulary AS (SELECT DISTINCT w FROM post), spot AS (SELECT m, i FROM range(1, 11) a(m), range(5) b(i)), placed AS (SELECT m, i, w, row_number() OVER (PARTITION BY m, i ORDER BY md5(w || '|' || m || '|' || i || '|{SEED}'), w) AS n FROM spot, (SELECT w FROM vocabulary WHERE ('0x' || substr(md5(w || '|{SEED}'), 1, 8))::BIGINT / 4294967296.0::DOUBLE < 0.02) x) SELECT CAST(m AS INTEGER) AS m, CAST(i AS INTEGER) AS i, string_agg(w, ' ' ORDER BY n) AS words FROM placed WHERE n <= m GROUP BY m, i"
+    f"{O.index('forward', 2, None)}, vocabulary AS (SELECT DISTINCT w FROM post), spot AS (SELECT m, i FROM range(1, 11) a(m), range(50) b(i)), placed AS (SELECT m, i, w, row_number() OVER (PARTITION BY m, i ORDER BY md5(w || '|' || m || '|' || i || '|{SEED}'), w) AS n FROM spot, vocabulary) SELECT CAST(m AS INTEGER) AS m, CAST(i AS INTEGER) AS i, string_agg(w, ' ' ORDER BY n) AS words FROM placed WHERE n <= m GROUP BY m, i"
 )
 def query_set(spark, sf_dir):
-    return query_sets.make_queries(index_for(spark, sf_dir, d=2), per_m=5, seed=SEED, share=0.02)
+    return query_sets.make_queries(index_for(spark, sf_dir, d=2), per_m=50, seed=SEED)
 
 
 @query(
