@@ -37,14 +37,32 @@ def ship(spark: SparkSession) -> None:
     sc.addPyFile(target)
 
 
-def cut(df: DataFrame, eager: bool = True) -> DataFrame:
-    """Materialise ``df`` in the cluster's shared checkpoint folder; a local folder is set only where none is configured."""
-    sc = df.sparkSession.sparkContext
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the driver and all executors share: spark.checkpoint.dir, else one of this machine in local mode only."""
+    sc = spark.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoints"))
+        named = sc.getConf().get("spark.checkpoint.dir")
+        if not named and sc.master.split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints"))
+    return sc.getCheckpointDir()
+
+
+def cut(df: DataFrame, eager: bool = True) -> DataFrame:
+    """Materialise ``df`` in the cluster's shared checkpoint folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager)
 
 
+def join_hot(rows: DataFrame, side: DataFrame, key: list[str], hot: DataFrame) -> DataFrame:
+    """``rows`` left joined with ``side`` (one row a key): the keys of ``hot``, few by construction, are broadcast, the others shuffled."""
+    if hot.isEmpty():
+        return rows.join(side, key, "left")
+    marked = rows.join(F.broadcast(hot.select(*key).withColumn("is_hot", F.lit(True))), key, "left")
+    often = marked.where("is_hot").drop("is_hot").join(F.broadcast(side.join(F.broadcast(hot.select(*key)), key, "left_semi")), key, "left")
+    return often.unionByName(marked.where("is_hot IS NULL").drop("is_hot").join(side, key, "left"))
+
+
 def broadcast_if(df: DataFrame, size: int, limit: int) -> DataFrame:
     """Broadcast hint only for a measured ``size`` within ``limit``; beyond it the planner shuffles both sides."""
     return F.broadcast(df) if size <= limit else df

@@ -12,7 +12,8 @@ array passes whatever k and the window are. Nothing grows with the size of a gro
 adds rows in proportion to those documents, and a run that many items share is one row with the list of items.
 
 Defined results: null or wordless texts have no words and no hits; wordless items have no runs; items with equal text
-all count; null item ids are not counted; rows equal in id and text are one document; other columns are ignored.
+all count; null item ids are not counted; rows equal in id and text are looked up once and give one result each; other
+columns are ignored; an empty table of documents stays empty, and without items nothing is hit.
 """
 
 from __future__ import annotations
@@ -73,8 +74,27 @@ def _runs(tokens: str, span: int) -> Column:
     return F.when(last >= 1, F.transform(F.sequence(F.lit(1), last), lambda i: F.array_join(F.slice(F.col(tokens), i, span), " "))).otherwise(F.array().cast("array<string>"))
 
 
+#: Copies of one row are written out in groups of so many.
+COPIES = 4_096
+
+
 def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text", span: int = SPAN, gram: int = GRAM) -> DataFrame:
-    """``id_col, n_words, n_hit, item_ids`` for each document; ``item_ids`` is the sorted list (as strings) of items with a shared run."""
+    """``id_col, n_words, n_hit, item_ids`` for each row; ``item_ids`` is the sorted list (as strings) of items with a shared run."""
+    out = overlaps(docs, items, id_col, text_col, item_id_col, item_text_col, span, gram)
+    out = out.withColumn("lot", F.explode(F.sequence(F.lit(0), F.floor((F.col("copies") - 1) / COPIES))))
+    every = F.sequence(F.lit(1), F.least(F.lit(COPIES), F.col("copies") - F.col("lot") * COPIES))
+    return out.withColumn("copy", F.explode(every)).select(F.col("id").alias(id_col), "n_words", "n_hit", "item_ids")
+
+
+def drop_contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text", span: int = SPAN, gram: int = GRAM) -> DataFrame:
+    """The rows of ``docs`` without a hit, with all their columns; ids may be null or repeat with other texts."""
+    bad = cut(overlaps(docs, items, id_col, text_col, item_id_col, item_text_col, span, gram).where("n_hit > 0").select("id", "text_hash"))
+    same = F.col(f"d.`{id_col}`").eqNullSafe(F.col("b.id")) & (F.xxhash64(F.col(f"d.`{text_col}`")) == F.col("b.text_hash"))
+    return docs.alias("d").join(broadcast_if(bad, bad.count(), BROADCAST_ROWS).alias("b"), same, "left_anti")
+
+
+def overlaps(docs: DataFrame, items: DataFrame, id_col: str, text_col: str, item_id_col: str, item_text_col: str, span: int, gram: int) -> DataFrame:
+    """``id, text_hash, copies, n_words, n_hit, item_ids``: one row for all rows of equal id and text."""
     bench = items.select(F.col(item_id_col).cast("string").alias("item"), words(F.col(item_text_col)).alias("tokens"))
     bench = bench.where(F.size("tokens") > 0).withColumn("span", F.least(F.size("tokens"), F.lit(span)))
     measured = bench.groupBy("span").agg(F.sum(F.size("tokens") - F.col("span") + 1).alias("runs")).collect()  # a row for each length up to span
@@ -83,8 +103,8 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
 
     texts = docs.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("text_hash"), F.col(text_col).alias("body"))
     if not spans:
-        out = texts.select("id", "text_hash", F.size(words(F.col("body"))).cast("bigint").alias("n_words")).distinct()
-        return out.select(F.col("id").alias(id_col), "n_words", F.lit(0).cast("bigint").alias("n_hit"), F.array().cast("array<string>").alias("item_ids"))
+        out = texts.select("id", "text_hash", F.size(words(F.col("body"))).cast("bigint").alias("n_words")).groupBy("id", "text_hash").agg(F.max("n_words").alias("n_words"), F.count(F.lit(1)).alias("copies"))
+        return out.select("id", "text_hash", "copies", "n_words", F.lit(0).cast("bigint").alias("n_hit"), F.array().cast("array<string>").alias("item_ids"))
 
     prints, kept = None, texts.select("id", "text_hash", words(F.col("body")).alias("tokens"))
     kept = kept.withColumn("n_words", F.size("tokens").cast("bigint"))
@@ -93,14 +113,11 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
         prints = mine if prints is None else prints.unionByName(mine)
         kept = winnow(kept, f"kept_{s}", "tokens", s, gram)
     prints = prints.distinct()
-    found = F.concat(*(_marked(f"kept_{s}", s) for s in spans)) if len(spans) > 1 else F.col(f"kept_{spans[0]}")
-    rows = kept.select("id", "text_hash", "n_words", F.explode_outer(found).alias("print"))
-    if len(spans) > 1:
-        rows = rows.select("id", "text_hash", "n_words", "print.print", "print.print_span")
-    else:
-        rows = rows.withColumn("print_span", F.lit(spans[0]))
+    # one entry without a print for each row, by which the copies are counted
+    found = F.concat(F.array(F.struct(F.lit(None).cast("bigint").alias("print"), F.lit(0).alias("print_span"))), *(_marked(f"kept_{s}", s) for s in spans))
+    rows = kept.select("id", "text_hash", "n_words", F.explode(found).alias("print")).select("id", "text_hash", "n_words", "print.print", "print.print_span")
     looked_up = rows.join(broadcast_if(prints.withColumn("met", F.lit(True)), n_runs, BROADCAST_ROWS), ["print", "print_span"], "left")
-    marked = cut(looked_up.groupBy("id", "text_hash").agg(F.max("n_words").alias("n_words"), F.coalesce(F.bool_or("met"), F.lit(False)).alias("met")))
+    marked = cut(looked_up.groupBy("id", "text_hash").agg(F.max("n_words").alias("n_words"), F.count_if(F.col("print_span") == 0).alias("copies"), F.coalesce(F.bool_or("met"), F.lit(False)).alias("met")))
 
     suspects = marked.where("met").select("id", "text_hash")
     same = (F.col("t.id").eqNullSafe(F.col("s.id"))) & (F.col("t.text_hash") == F.col("s.text_hash"))
@@ -114,11 +131,16 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
     for s in spans:
         mine = bench.where(F.col("span") == s).select("item", "span", F.explode(_runs("tokens", s)).alias("run"))
         wanted = mine if wanted is None else wanted.unionByName(mine)
-    wanted = wanted.groupBy("run", "span").agg(F.collect_set("item").alias("items"))
-    hits = places.join(broadcast_if(wanted, n_runs, BROADCAST_ROWS), ["run", "span"])
+    # runs with the same items share one list of them, so that a document gathers lists, not items for each of its runs
+    wanted = wanted.groupBy("run", "span").agg(F.array_sort(F.collect_set("item")).alias("items")).withColumn("list", F.sha2(F.to_json("items"), 256))
+    wanted = cut(wanted)
+    lists = wanted.groupBy("list").agg(F.first("items").alias("items"))
+    hits = places.join(broadcast_if(wanted.select("run", "span", "list"), n_runs, BROADCAST_ROWS), ["run", "span"])
     # at most a document's own positions are gathered in its row
     inside = F.array_distinct(F.flatten(F.transform(F.collect_set(F.struct("at", "span")), lambda p: F.sequence(p["at"], p["at"] + p["span"] - 1))))
-    extended = hits.groupBy("id", "text_hash").agg(F.size(inside).cast("bigint").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_set("items")))).alias("item_ids"))
+    extended = cut(hits.groupBy("id", "text_hash").agg(F.size(inside).cast("bigint").alias("n_hit"), F.collect_set("list").alias("lists")))
+    named = extended.select("id", "text_hash", "n_hit", F.explode("lists").alias("list")).join(broadcast_if(lists, n_runs, BROADCAST_ROWS), "list")
+    extended = named.groupBy("id", "text_hash").agg(F.max("n_hit").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_set("items")))).alias("item_ids"))
     both = (F.col("m.id").eqNullSafe(F.col("e.id"))) & (F.col("m.text_hash") == F.col("e.text_hash"))
     out = marked.alias("m").join(extended.alias("e"), both, "left")
-    return out.select(F.col("m.id").alias(id_col), "n_words", F.coalesce("n_hit", F.lit(0)).cast("bigint").alias("n_hit"), F.coalesce("item_ids", F.array().cast("array<string>")).alias("item_ids"))
+    return out.select(F.col("m.id").alias("id"), F.col("m.text_hash").alias("text_hash"), "copies", "n_words", F.coalesce("n_hit", F.lit(0)).cast("bigint").alias("n_hit"), F.coalesce("item_ids", F.array().cast("array<string>")).alias("item_ids"))

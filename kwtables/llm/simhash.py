@@ -9,7 +9,7 @@ values within the threshold whose topmost changed bit it has itself: of two fing
 
 Buckets (part, value) are compared in blocks of bounded size, so a hot bucket becomes several tasks, and each task reports
 a spanning forest of the links it has verified, never all pairs of a group. Equal fingerprints are one node from the start.
-Components come from repeated star contraction of the reported edges on the cluster.
+Components come from repeated star contraction of the reported edges on the cluster. Ids must be integers (else TypeError).
 
 Defined results: null or wordless texts have fingerprint zero and are linked like any other; texts with fewer words than
 a shingle are one shingle; the component is the least id reachable; null ids cannot name a component and are left out of
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import broadcast_if, cut, ship
+from .common import broadcast_if, cut, join_hot, ship
 
 BITS = 64
 SEED = 42
@@ -39,6 +39,8 @@ CHUNK_PAIRS = 1 << 20
 PROBE_COST = 1_000
 #: Large buckets within this number are broadcast; beyond it they are joined by shuffle.
 BROADCAST_BUCKETS = 200_000
+#: A key is hot at so many rows, or at this share of all rows if that is more: so there are at most 100,000 hot keys.
+HOT_ROWS, HOT_SHARE = 2_000, 1e-5
 
 
 def _mix(h: np.ndarray, salt: int) -> np.ndarray:
@@ -139,7 +141,7 @@ def within(joint_p: np.ndarray, group: list[int], most: int) -> list[float]:
     return np.cumsum(dist[: most + 1]).tolist()
 
 
-def allocate(n: int, joint: np.ndarray, radius: int) -> list[tuple[list[int], int]]:
+def allocate(n: int, joint: np.ndarray, radius: int, probe_cost: float = PROBE_COST) -> list[tuple[list[int], int]]:
     """(bits, threshold) of each used part: the split and thresholds of least estimated cost."""
     p = joint.diagonal() / max(n, 1)
     best: tuple[float, list[tuple[list[int], int]]] = (math.inf, [])
@@ -154,8 +156,7 @@ def allocate(n: int, joint: np.ndarray, radius: int) -> list[tuple[list[int], in
             for (total, (cost, chosen)), t in itertools.product(table.items(), tops):
                 if t >= len(chance) or t > 4 or total + t > budget + (len(groups) - i - 1):
                     continue
-                probes = sum(math.comb(len(g), j) for j in range(1, t + 1)) / 2 + 1 if t >= 0 else 0
-                new = cost + (n * PROBE_COST * probes + n * n / 2 * chance[t] if t >= 0 else 0)
+                new = cost + (n * probe_cost * stored_rows(len(g), t) + n * n / 2 * chance[t] if t >= 0 else 0)
                 if new < grown.get(total + t, (math.inf,))[0]:
                     grown[total + t] = (new, (*chosen, t))
             table = grown
@@ -164,6 +165,20 @@ def allocate(n: int, joint: np.ndarray, radius: int) -> list[tuple[list[int], in
     return best[1]
 
 
+def stored_rows(bits: int, threshold: int) -> float:
+    """Rows that a fingerprint has in a part, on average: its own value and half of the values within the threshold."""
+    return sum(math.comb(bits, j) for j in range(1, threshold + 1)) / 2 + 1
+
+
+def allocate_rows(n: int, joint: np.ndarray, radius: int, most_rows: float) -> list[tuple[list[int], int]]:
+    """The allocation of fewest comparisons whose rows for each fingerprint stay within ``most_rows``, for the least cost of a probe that does so."""
+    for cost in (30 * 2**i for i in range(40)):
+        parts = allocate(n, joint, radius, cost)
+        if sum(stored_rows(len(g), t) for g, t in parts) <= most_rows:
+            break
+    return parts
+
+
 def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
@@ -218,78 +233,95 @@ def _forest(buckets: np.ndarray, role: np.ndarray, node: np.ndarray, f: np.ndarr
     return a[a != b], b[a != b]
 
 
-def link(nodes: DataFrame, radius: int, radius_all: int | None = None, probed: int = 1) -> DataFrame:
-    """Edges ``a, b`` that connect whatever ``nodes`` (node, f0, ...) link: at ``radius`` bits of one of the first ``probed``
-    families, and at ``radius_all`` bits of all families together if given."""
-    ship(nodes.sparkSession)
-    families = [c for c in nodes.columns if c != "node"]
-    parts = [(c, bits, t) for c in families[:probed] for bits, t in allocate(*bit_statistics(nodes, c), radius)]
+def deal(nodes: DataFrame, parts: list[tuple[str, list[int], int]]) -> DataFrame:
+    """``bucket, ...``: the columns of ``nodes`` (node, ...) once for each stored or probed value of the ``parts`` (column, bits,
+    threshold), dealt and sorted by bucket; its lowest bit sorts stored values before probes. Large buckets come block by block."""
+    columns = nodes.columns
     every = F.concat(*(probes(F.col(c), i, bits, t) for i, (c, bits, t) in enumerate(parts)))
-    rows = nodes.select("node", *families, F.explode(every).alias("x")).select("x.part", "x.value", "x.role", "node", *families)
+    rows = nodes.select(*columns, F.explode(every).alias("x")).select("x.part", "x.value", "x.role", *columns)
     large = cut(rows.groupBy("part", "value").count().where(F.col("count") > BLOCK_ROWS))
     rows = rows.join(broadcast_if(large, large.count(), BROADCAST_BUCKETS), ["part", "value"], "left")
     blocks = F.ceil(F.coalesce("count", F.lit(1)) / BLOCK_ROWS).cast("int")
     own = F.pmod(F.xxhash64("node"), blocks).cast("int")
     rows = rows.withColumn("blocks", blocks).withColumn("own", own)
     pairs = F.when(F.col("blocks") == 1, F.array(F.lit(0))).otherwise(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.least(k, F.col("own")) * F.col("blocks") + F.greatest(k, F.col("own"))))
-    rows = rows.select("part", "value", F.explode(pairs).alias("pair"), "role", "node", *families)
-    # the lowest bit sorts stored values before probes, without a column of its own
+    rows = rows.select("part", "value", F.explode(pairs).alias("pair"), "role", *columns)
     key = F.xxhash64("part", "value", "pair").bitwiseAND(F.lit(-2)).bitwiseOR(F.col("role").cast("bigint"))
-    rows = rows.select(key.alias("bucket"), "node", *families)
+    return rows.select(key.alias("bucket"), *columns).repartition(F.shiftright("bucket", 1)).sortWithinPartitions("bucket")
+
+
+def whole_buckets(batches: Iterator[pa.RecordBatch], most: int = 100_000) -> Iterator[np.ndarray]:
+    """The rows of sorted ``batches`` as matrices of whole buckets, of ``most`` rows or more unless the rows end."""
+    held: list[np.ndarray] = []
+    size = 0
+    for batch in batches:
+        held.append(np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns], axis=1))
+        size += len(held[-1])
+        if size < most:
+            continue
+        data = np.concatenate(held)
+        last = int(np.searchsorted(data[:, 0] >> 1, data[-1, 0] >> 1))  # the last bucket may go on
+        if last:
+            yield data[:last]
+        held, size = [data[last:]], 0
+    if held:
+        yield np.concatenate(held)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-        size = 0
 
-        def emit(data: np.ndarray) -> Iterator[pa.RecordBatch]:
+def link(nodes: DataFrame, radius: int, radius_all: int | None = None, probed: int = 1) -> DataFrame:
+    """Edges ``a, b`` that connect whatever ``nodes`` (node, f0, ...) link: at ``radius`` bits of one of the first ``probed``
+    families, and at ``radius_all`` bits of all families together if given."""
+    ship(nodes.sparkSession)
+    families = [c for c in nodes.columns if c != "node"]
+    parts = [(c, bits, t) for c in families[:probed] for bits, t in allocate(*bit_statistics(nodes, c), radius)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for data in whole_buckets(batches):
             a, b = _forest(data[:, 0] >> 1, data[:, 0] & 1, data[:, 1], np.ascontiguousarray(data[:, 2:]).view(np.uint64), probed, radius, radius_all)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
-        for batch in batches:
-            held.append(np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns], axis=1))
-            size += len(held[-1])
-            if size < 100_000:
-                continue
-            data = np.concatenate(held)
-            last = int(np.searchsorted(data[:, 0] >> 1, data[-1, 0] >> 1))  # the last bucket may go on
-            if last:
-                yield from emit(data[:last])
-            held, size = [data[last:]], 0
-        if held:
-            yield from emit(np.concatenate(held))
-
-    dealt = rows.repartition(F.shiftright("bucket", 1)).sortWithinPartitions("bucket")
-    return dealt.mapInArrow(run, "a bigint, b bigint")
+    return deal(nodes.select("node", *families), parts).mapInArrow(run, "a bigint, b bigint")
 
 
 def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
-    """``node, root`` for every node of ``edges`` (a, b): root is the least node of its component. Star contraction, cut every round."""
+    """``node, root`` for every node of ``edges`` (a, b): root is the least node of its component. Star contraction, cut every round;
+    the centres of large stars are joined by broadcast, so that no task has a whole star."""
     pairs = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
     for _ in range(most_rounds):
         both = pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = large.where("u <> v").distinct()
+        around = cut(both.groupBy("u").agg(F.min("v").alias("m"), F.count("v").alias("n")).select("u", F.least("u", "m").alias("m"), "n"))
+        total = around.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
+        hot = around.where(F.col("n") > max(HOT_ROWS, HOT_SHARE * total)).select("u")
+        large = join_hot(both.where("v > u"), around.select("u", "m"), ["u"], hot).select(F.col("v").alias("u"), F.col("m").alias("v"))
+        large = cut(large.where("u <> v").distinct())
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct("v", "m"), F.struct(F.col("u").alias("v"), "m"))).alias("x")).select(F.col("x.v").alias("u"), F.col("x.m").alias("v"))
-        new = cut(small.where("u <> v").distinct())
+        pairs = cut(small.where("u <> v").distinct())
         # stars only, each leaf under one root: nothing changes any more
-        state = new.groupBy("u").agg(F.count("v").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("n")).first()
-        pairs = new
-        if state["n"] <= 1 and new.select(F.col("v").alias("u")).distinct().join(new, "u", "left_semi").isEmpty():
+        state = pairs.groupBy("u").agg(F.count("v").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("n")).first()
+        if state["n"] <= 1 and pairs.select(F.col("v").alias("u")).distinct().join(pairs, "u", "left_semi").isEmpty():
             return pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))
     raise RuntimeError(f"components still open after {most_rounds} rounds")
 
 
 def near_duplicates(docs: DataFrame, shingle: int, radius: int, families: int = 1, radius_all: int | None = None, probed: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id_col, f0, ..., component`` for each row; the component is the least id linked directly or through others."""
+    needs_integer_ids(docs, id_col)
     prints = cut(fingerprints(docs, shingle, families, id_col, text_col))
     names = [f"f{i}" for i in range(families)]
-    nodes = cut(prints.where(F.col(id_col).isNotNull()).groupBy(*names).agg(F.min(id_col).cast("bigint").alias("node")))
-    roots = components(link(nodes.select("node", *names), radius, radius_all, probed))
-    named = nodes.join(roots, "node", "left").select(*names, F.coalesce("root", "node").alias("component"))
-    return prints.join(named, names, "left")
+    nodes = cut(prints.groupBy(*names).agg(F.min(id_col).cast("bigint").alias("node"), F.count(F.lit(1)).alias("copies")))
+    roots = components(link(nodes.where("node IS NOT NULL").select("node", *names), radius, radius_all, probed))
+    named = cut(nodes.join(roots, "node", "left").select(*names, F.coalesce("root", "node").alias("component"), "copies"))
+    total = named.agg(F.coalesce(F.sum("copies"), F.lit(0)).alias("n")).first()["n"]
+    hot = named.where(F.col("copies") > max(HOT_ROWS, HOT_SHARE * total))
+    return join_hot(prints, named.drop("copies"), names, hot).select(id_col, *names, "component")
+
+
+def needs_integer_ids(docs: DataFrame, id_col: str) -> None:
+    """Components are named by the least id, an integer."""
+    if docs.schema[id_col].dataType.simpleString() not in ("tinyint", "smallint", "int", "bigint"):
+        raise TypeError(f"integer ids are needed, {id_col!r} is {docs.schema[id_col].dataType.simpleString()}")
 
 
 def bits_for(similarity: float, families: int) -> int:
