@@ -7,8 +7,9 @@ cosine. Training also sets, for each language and number of distinct cells, the
 of the least that held-out texts of at least that size reach on centroids learned without them, so that clean texts stay.
 Texts of fewer than FEW_CELLS cells tell too little and go only at a cosine near zero.
 
-Training reads at most SAMPLE labelled rows of each language, those of least seeded hash over the whole table, and only
-their fixed-size vectors reach the driver. Languages are taken from the labels, at most MOST_LANGUAGES of them.
+Training reads about SAMPLE labelled texts of each language, those whose seeded hash of the id lies in that share of all ids,
+whatever the partitioning; ids that repeat count once. With many languages the sample shrinks so that MOST_VECTORS fixed-size
+vectors reach the driver. Languages are taken from the labels; more than MOST_LANGUAGES raise a ValueError.
 
 Defined results: null texts and texts without a letter are ``und`` with score 0 and are rejected; whole texts are read,
 in pieces of bounded size; ties go to the first language by name; repeated rows give repeated results; without any
@@ -21,7 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship
@@ -30,9 +31,8 @@ CELL_BITS = 12
 CELLS = 1 << CELL_BITS
 SAMPLE = 400
 CENTROIDS = 4
-#: Groups of input partitions that are ranked apart first; the last ranking reads at most SALTS * SAMPLE rows of a language.
-SALTS = 64
-MOST_LANGUAGES = 400
+#: Languages that can be learned, and training vectors of all languages together (8 KB each on the driver).
+MOST_LANGUAGES, MOST_VECTORS = 1_000, 25_600
 NO_LANGUAGE = "und"
 #: Rejected are texts below this share of the least held-out cosine.
 REJECT_SHARE = 1 / 3
@@ -64,7 +64,8 @@ def cell_counts(text: str | None) -> np.ndarray | None:
             continue
         x = np.where(own, x, 32).astype(np.uint32)
         keep = np.append(True, own[1:] | own[:-1])  # runs of other characters become one break
-        x = np.concatenate([[32], x[keep], [32]]).astype(np.uint32)
+        x = x[keep]
+        x = np.concatenate([[32] if x[0] != 32 else [], x, [32] if x[-1] != 32 else []]).astype(np.uint32)
         with np.errstate(over="ignore"):
             one = x * np.uint32(0x9E3779B1)
             two = (one[:-1] ^ (x[1:] * np.uint32(0x85EBCA77))) * np.uint32(0xC2B2AE3D)
@@ -136,7 +137,7 @@ def is_rejected(model: dict, language: int, cosine: float, counts: np.ndarray) -
     return bool(cosine < model["reject"][language][int(_bin(np.count_nonzero(counts)))])
 
 
-def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE, centroids: int = CENTROIDS) -> dict:
+def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE, centroids: int = CENTROIDS, most_languages: int = MOST_LANGUAGES) -> dict:
     """Model from the labelled rows of ``docs`` that satisfy ``where``: a few hundred kilobytes of numbers."""
     ship(docs.sparkSession)
     # texts that can be learned from, and one key that samples the same rows in any partitioning
@@ -144,16 +145,17 @@ def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id",
     if where is not None:
         labelled = labelled.where(where)
     key = F.xxhash64(F.col(id_col), F.lit("language"))
-    # the least keys of each language in two steps, so that a frequent language is first ranked in many tasks
-    slim = labelled.select(F.col(lang_col).alias("lang"), key.alias("key"), (F.spark_partition_id() % SALTS).alias("salt"))
-    least = slim.withColumn("n", F.row_number().over(Window.partitionBy("lang", "salt").orderBy("key"))).where(F.col("n") <= sample)
-    ranked = least.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("key"))).where(F.col("n") <= sample)
-    limits = ranked.groupBy("lang").agg(F.max("key").alias("most")).orderBy("lang").limit(MOST_LANGUAGES).collect()
-    if not limits:
+    # counts alone decide which keys are read, so no ranking gathers a language in one task
+    counted = labelled.groupBy(F.col(lang_col).alias("lang")).agg(F.approx_count_distinct(key, 0.02).alias("ids")).orderBy("lang").limit(most_languages + 1).collect()
+    if len(counted) > most_languages:
+        raise ValueError(f"more than {most_languages} languages; most_languages sets how many can be learned")
+    if not counted:
         return {"langs": [], "idf": None, "centroids": None, "owner": [], "reject": []}
-    chosen = F.lit(False)
-    for r in limits:
-        chosen = chosen | ((F.col(lang_col) == r["lang"]) & (key <= r["most"]))
+    sample = min(sample, max(1, MOST_VECTORS // len(counted)))
+    below = lambda n: min(2**63 - 1, int(sample / max(n, 1) * 2**64) - 2**63)
+    shares = docs.sparkSession.createDataFrame([(r["lang"], below(r["ids"])) for r in counted], "lang_name string, most bigint")
+    chosen = labelled.select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"), key.alias("key")).join(F.broadcast(shares), F.col("lang") == F.col("lang_name")).where(F.col("key") <= F.col("most"))
+    texts = chosen.groupBy("lang", "key").agg(F.min("text").alias("text"))  # rows that repeat an id
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -165,8 +167,7 @@ def train(docs: DataFrame, where: Column | None = None, id_col: str = "doc_id",
                     vectors.append(np.log1p(n).astype(np.float16).tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(langs, pa.string()), pa.array(vectors, pa.binary())], names=["lang", "vector"])
 
-    # at most sample rows of each language, unless rows repeat an id
-    rows = labelled.where(chosen).select(lang_col, text_col).mapInArrow(run, "lang string, vector binary").orderBy("lang", "vector").limit(2 * sample * len(limits)).collect()
+    rows = texts.select("lang", "text").mapInArrow(run, "lang string, vector binary").orderBy("lang", "vector").collect()  # about sample rows of each language
     if not rows:
         return {"langs": [], "idf": None, "centroids": None, "owner": [], "reject": []}
     owner = np.array([r["lang"] for r in rows])
