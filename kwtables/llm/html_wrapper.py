@@ -11,7 +11,7 @@ Inference is hierarchical: tasks align the pages they read, salted groups of a h
 for each host aligns the salts' wrappers. A host with a third of all pages is thus spread over all tasks, and no task holds
 more than one wrapper for each host that it meets. Wrappers are broadcast while they measure up to a bound, else shuffled.
 
-Defined results: null or empty html gives an empty text; a page without markup is one block; urls without a host share
+Defined results: null or empty html gives an empty text; a page without markup is one block; attributes, classes, repeated groups and nesting may be of any size; urls without a host share
 one wrapper; equal pages give equal texts; pages of any length are read whole; repeated rows give repeated results.
 """
 
@@ -41,17 +41,26 @@ HOLDERS = frozenset("ul ol menu dl table tbody thead tfoot article section div m
 CUES = frozenset(
     "ad ads adv advert advertisement adsense banner sponsor sponsored promo promotion menu nav navbar navigation breadcrumb breadcrumbs sidebar side footer header masthead toolbar cookie cookies consent gdpr notice notices alert popup modal overlay comment comments discussion disqus respond reply replies related recommend recommended share sharing social follow subscribe subscription newsletter signup login search widget widgets pagination pager tags tagcloud copyright legal".split()
 )
+#: Words that leave a cue what it is inside an article: "share-buttons" is no text of it, "share-price" and "related-work" are.
+NEUTRAL = frozenset(
+    "0 area article articles bar block box button buttons col container content count entry field form group header footer icon icons inner item items js label left link links list main module new outer page panel post posts right row section site slot small story text thread title tool tools top bottom unit user wrap wrapper".split()
+)
 MAIN_CUES = frozenset("articlebody article-body post-content entry-content post-body article-content main-content".split())
 
-TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']++|"[^"]{0,8192}"|'[^']{0,8192}')*+)>|<[!?/][^>]*>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>|[^<]++|<""", re.DOTALL)
+#: A tag ends outside quotes; where quotes do not close before the page ends, tags end at the next angle bracket from there on.
+_SHARED = r"""<!--.*?(?:-->|\Z)|%s<[!?/][^>]*>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>|[^<]++|<"""
+TOKEN = re.compile(_SHARED % r"""<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']++|"[^"]*+"|'[^']*+')*+)>|""", re.DOTALL)
+PLAIN = re.compile(_SHARED % "()()()(?!)|", re.DOTALL)
+REPEAT = re.compile(r"(.{2,}?)\1+", re.DOTALL)
 ATTR = re.compile(r"""(class|id|role|itemprop|hidden|aria-hidden)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.IGNORECASE)
 SPACE = re.compile(r"\s+")
 HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)"
 SALTS = 32
 #: Wrappers of all hosts together are broadcast up to this many characters.
 BROADCAST_CHARS = 32_000_000
-LONGEST_PERIOD = 4
 MOST_NAMES = 6
+#: Elements nested deeper stand side by side at this depth; their texts, order and kinds (menu, article) are kept.
+DEEPEST = 300
 #: A text that never differs is template if so many different pages have it.
 TEMPLATE_PAGES = 3
 
@@ -62,7 +71,7 @@ Item = list  # [symbol, optional, repeated, children or None, constant, characte
 def _symbol(tag: str, attrs: str) -> str:
     """Tag with its sorted classes, id and role; digits are blurred so that numbered ids agree.
 
-    Six names are kept; what the others say (a cue, the article, hidden) stays as a mark.
+    Six names are kept; what the others say (a cue, an unmistakable one, the article, hidden) stays as a mark.
     """
     if not attrs or "=" not in attrs and "hidden" not in attrs:
         return tag
@@ -75,7 +84,7 @@ def _symbol(tag: str, attrs: str) -> str:
             names += re.sub(r"[0-9]+", "0", value.lower()).split()
     names = sorted(set(names))
     kept, others = names[:MOST_NAMES], names[MOST_NAMES:]
-    marks = [mark for mark, found in (("~cue", _has_cue(others)), ("~hidden", "~hidden" in others), ("~main", _names_main(others))) if found]
+    marks = [mark for mark, found in (("~cue", _has_cue(others)), ("~clear", _has_clear_cue(others)), ("~hidden", "~hidden" in others), ("~main", _names_main(others))) if found]
     return ".".join([tag, *kept, *marks])
 
 
@@ -83,6 +92,10 @@ def _has_cue(names: list[str]) -> bool:
     return any(w in CUES for n in names for w in re.split(r"[-_]+", n))
 
 
+def _has_clear_cue(names: list[str]) -> bool:
+    return any(_has_cue([n]) and all(w in CUES or w in NEUTRAL for w in re.split(r"[-_]+", n)) for n in names)
+
+
 def _names_main(names: list[str]) -> bool:
     return "main" in names or any(n in MAIN_CUES for n in names)
 
@@ -98,15 +111,28 @@ def parse(page: str) -> Node:
         if open_text:
             text = "".join(open_text)
             if not text.isspace():
-                stack[-1][1].append([None, text, linked])
+                node = [None, text, linked]
+                symbol, kids, *deep = stack[-1]
+                if kids is not None:
+                    kids.append(node)
+                else:
+                    stack[DEEPEST][1].append(["nav" if deep[0] else "main" if deep[1] else symbol, [node]])
             open_text.clear()
             linked = 0
 
-    at, n = 0, len(page)
+    at, n, last = 0, len(page), page.rfind(">")
     match = TOKEN.match
-    while at < n and (m := match(page, at)):
+    while at < n:
+        if at > last:  # no tag ends any more
+            open_text.append(page[at:])
+            if in_link:
+                linked += n - at
+            break
+        m = match(page, at)
         at = m.end()
         tag = m[2] or m[5]
+        if m[5]:
+            match = PLAIN.match
         if tag is None:
             s = m[0]
             if s[0] != "<" or s == "<":
@@ -144,10 +170,17 @@ def parse(page: str) -> Node:
                 break
             if tags[k] in HOLDERS:
                 break
-        if len(tags) > 400:  # deeper nesting than any page needs stays flat
-            continue
-        node: Node = [_symbol(tag, m[3] or m[6] or ""), []]
-        stack[-1][1].append(node)
+        symbol = _symbol(tag, m[3] or m[6] or "")
+        if len(tags) <= DEEPEST:
+            node: Node = [symbol, []]
+            stack[-1][1].append(node)
+        else:
+            if len(tags) == DEEPEST + 1:
+                inside = any(is_main(x[0]) for x in stack)
+                below = False
+            else:
+                below, inside = stack[-1][2:]
+            node = [symbol, None, below or is_boilerplate(symbol, inside), inside or is_main(symbol)]
         stack.append(node)
         tags.append(tag)
     flush()
@@ -182,20 +215,19 @@ def generalise(node: Node, page: int | None = None) -> Item:
 
 
 def fold(kids: list[Item]) -> list[Item]:
-    """Adjacent repeats of a run of kinds become one repeated group."""
-    for period in range(2, LONGEST_PERIOD + 1):
-        i = 0
-        while i + 2 * period <= len(kids):
-            own = [k[0] for k in kids[i : i + period]]
-            if own == [k[0] for k in kids[i + period : i + 2 * period]]:
-                group = kids[i : i + period]
-                j = i + period
-                while [k[0] for k in kids[j : j + period]] == own:
-                    group = [merge(a, b) for a, b in zip(group, kids[j : j + period], strict=True)]
-                    j += period
-                kids = [*kids[:i], ["(" + " ".join(own) + ")", False, True, group, None, 0, 0, []], *kids[j:]]
-            i += 1
-    return kids
+    """Adjacent repeats of a run of kinds, of any length, become one repeated group."""
+    if len(kids) < 4:
+        return kids
+    codes: dict[str, int] = {}
+    line = "".join([chr(0x10000 + codes.setdefault(k[0], len(codes))) for k in kids])
+    out, at = [], 0
+    for m in REPEAT.finditer(line):
+        group, period = kids[m.start() : m.end(1)], len(m[1])
+        for j in range(m.end(1), m.end(), period):
+            group = [merge(x, y) for x, y in zip(group, kids[j : j + period], strict=True)]
+        out += [*kids[at : m.start()], ["(" + " ".join(k[0] for k in group) + ")", False, True, group, None, 0, 0, []]]
+        at = m.end()
+    return [*out, *kids[at:]]
 
 
 def merge(a: Item, b: Item) -> Item:
@@ -260,7 +292,9 @@ def is_boilerplate(symbol: str, inside_main: bool) -> bool:
     tag, *names = symbol.split(".")
     if tag in BOILERPLATE or tag == "header" and not inside_main or "~hidden" in names:
         return True
-    return tag not in ("article", "main", "body", "root") and ("~cue" in names or _has_cue(names))
+    if tag in ("article", "main", "body", "root"):
+        return False
+    return "~clear" in names or _has_clear_cue(names) if inside_main else "~cue" in names or _has_cue(names)
 
 
 def is_main(symbol: str) -> bool:
