@@ -10,7 +10,7 @@ as many rows as there are cells. The hash makes the cells even, whatever the sou
 an MD5 digest of seed and id, so that any SQL engine finds the same order.
 
 Defined results: null sources form one stratum; null text has size 1 and the checksum of no bytes; equal texts are
-no constraint under the ``rows`` law; rows of a repeated id follow each other by a hash of the whole row, so that a task
+no constraint under the ``rows`` law; rows of null ids are spread by a hash of the whole row; rows of a repeated id follow each other by a hash of the whole row, so that a task
 that runs again places them alike (equal rows are interchangeable); an empty table stays empty.
 """
 
@@ -37,9 +37,9 @@ def interleave(docs: DataFrame, shards: int = 16, id_col: str = "doc_id", source
     """
     kept = [F.col(f"`{c}`") for c in docs.columns if c.lower() not in ("shard", "slot")]
     stratum = F.coalesce(F.col(source_col).cast("string"), F.lit("\0null"))
-    digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(id_col).cast("string"), F.lit(""))).cast("binary"))
-    order = F.conv(F.substring(digest, 1, ORDER_BITS // 4), 16, 10).cast("bigint")
     hashed = [F.col(f"`{f.name}`") for f in docs.schema if not any(t in f.dataType.simpleString() for t in ("map<", "variant"))]
+    digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(id_col).cast("string"), F.concat(F.lit("null:"), F.xxhash64(*hashed).cast("string")))).cast("binary"))
+    order = F.conv(F.substring(digest, 1, ORDER_BITS // 4), 16, 10).cast("bigint")
     rows = docs.select(F.struct(*kept).alias("row"), F.col(id_col).alias("id"), stratum.alias("stratum"), order.alias("order"), F.xxhash64(*hashed).alias("tie"))
     sizes = rows.groupBy("stratum").count()
     totals = sizes.agg(F.count(F.lit(1)).alias("strata"), F.coalesce(F.sum("count"), F.lit(0)).alias("rows"), F.coalesce(F.max("count"), F.lit(0)).alias("largest")).first()
