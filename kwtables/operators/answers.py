@@ -42,20 +42,26 @@ def answer_columns(index: PathIndex, pattern_ids: list[int], names: str = "quali
 
 
 def answer_table(index: PathIndex, q: Query, pattern_ids: list[int], names: str = "qualified", with_ids: bool = False) -> DataFrame:
-    """Rows of one pattern with the texts of their nodes, best subtree first by ``tree_score``.
+    """Rows of one pattern with the texts of their nodes, best subtree first by ``tree_score``, then by its nodes.
 
-    Node texts are joined column by column; each side is the pattern's own rows, and the texts come from a semi-joined scan.
+    Cells are joined with the texts by node and gathered again by the subtree's own nodes, so a task that runs again finds
+    the same rows.
     """
     trees = root_expansion(index, q, return_trees=True)
     chosen = trees.where(" AND ".join(f"{p} = {int(v)}" for p, v in zip(q.ids, pattern_ids, strict=True)))
     columns = answer_columns(index, pattern_ids, names)
-    cells = chosen.select(F.monotonically_increasing_id().alias("row_no"), "tree_score", F.array(*(F.get(f"nodes{w}", F.lit(i - 1)) for _, w, i in columns)).alias("cells"))
-    texts = index.graph.nodes.select("node_id", "text")
+    # a pattern's subtree is known by the nodes of its paths; equal subtrees (from repeated edges) are counted and written out again
+    key = F.flatten(F.array(*(F.col(f"nodes{w}") for w in range(1, len(q.words) + 1))))
+    cells = chosen.select("tree_score", key.alias("nodes"), F.array(*(F.get(f"nodes{w}", F.lit(i - 1)) for _, w, i in columns)).alias("cells"))
+    best_first = [order_key("tree_score").desc(), F.asc("nodes")]
     if with_ids:
-        return cells.select("tree_score", *(F.col("cells")[i].alias(n) for i, (n, _, _) in enumerate(columns)))
-    long = cells.select("row_no", "tree_score", F.posexplode("cells").alias("at", "node_id")).join(texts, "node_id", "left")
-    wide = long.groupBy("row_no").agg(F.first("tree_score").alias("tree_score"), F.map_from_entries(F.collect_list(F.struct("at", "text"))).alias("by_place"))
-    return wide.select("tree_score", *(F.element_at("by_place", F.lit(i)).alias(n) for i, (n, _, _) in enumerate(columns)))
+        return cells.orderBy(*best_first).select("tree_score", *(F.col("cells")[i].alias(n) for i, (n, _, _) in enumerate(columns)))
+    texts = index.graph.nodes.select("node_id", "text")
+    once = cells.groupBy("nodes", "cells").agg(F.max("tree_score").alias("tree_score"), F.count(F.lit(1)).alias("times"))
+    long = once.select("nodes", "tree_score", "times", F.posexplode("cells").alias("at", "node_id")).join(texts, "node_id", "left")
+    wide = long.groupBy("nodes").agg(F.max("tree_score").alias("tree_score"), F.max("times").alias("times"), F.map_from_entries(F.collect_list(F.struct("at", "text"))).alias("by_place"))
+    every = wide.withColumn("time", F.explode(F.sequence(F.lit(1), F.col("times")))).orderBy(*best_first)
+    return every.select("tree_score", *(F.element_at("by_place", F.lit(i)).alias(n) for i, (n, _, _) in enumerate(columns)))
 
 
 def answer_tables(index: PathIndex, q: Query, result: DataFrame, n: int) -> dict[int, DataFrame]:

@@ -11,16 +11,16 @@ DAY = 86_400
 def asof(left: DataFrame, right: DataFrame, key: str, left_time: str, right_time: str, columns: list[str]) -> DataFrame:
     """``left`` with the columns of the latest ``right`` row of the same key at or before its time (null: none).
 
-    Both sides are laid in one sequence by key and time, and the last event is carried forward: one shuffle, no range join.
-    Ties take the event greatest by its columns. A hot key is one window; ``around`` splits keys by time instead.
+    Both sides are laid in one sequence by key and time, and the last event is carried forward: one shuffle, no join. Left
+    rows travel whole, so a task that runs again needs no row numbers. Ties take the event greatest by its columns; a null
+    key or time has no event. A hot key is one window; ``around`` splits keys by time instead.
     """
-    n = "asof_row"
-    a = left.withColumn(n, F.monotonically_increasing_id())
-    marks = a.select(key, F.col(left_time).alias("at"), F.lit(1).alias("side"), n, F.lit(None).cast(right.select(F.struct(*columns)).schema[0].dataType).alias("event"))
-    events = right.select(key, F.col(right_time).alias("at"), F.lit(0).alias("side"), F.lit(None).cast("bigint").alias(n), F.struct(*columns).alias("event"))
-    w = Window.partitionBy(key).orderBy("at", "side", "event").rowsBetween(Window.unboundedPreceding, 0)
-    carried = marks.unionByName(events).withColumn("event", F.last("event", ignorenulls=True).over(w)).where("side = 1").select(n, "event")
-    return a.join(carried, n, "left").select(*left.columns, *(F.col(f"event.{c}").alias(c) for c in columns))
+    row, event = left.select(F.struct("*")).schema[0].dataType, right.select(F.struct(*columns)).schema[0].dataType
+    marks = left.select(F.col(key).alias("key"), F.col(left_time).alias("at"), F.lit(1).alias("side"), F.struct("*").alias("row"), F.lit(None).cast(event).alias("event"))
+    events = right.where(F.col(key).isNotNull() & F.col(right_time).isNotNull()).select(F.col(key).alias("key"), F.col(right_time).alias("at"), F.lit(0).alias("side"), F.lit(None).cast(row).alias("row"), F.struct(*columns).alias("event"))
+    w = Window.partitionBy("key").orderBy("at", "side", "event").rowsBetween(Window.unboundedPreceding, 0)
+    carried = marks.unionByName(events).withColumn("event", F.last("event", ignorenulls=True).over(w)).where("side = 1")
+    return carried.select("row.*", *(F.col(f"event.{c}").alias(c) for c in columns))
 
 
 def around(left: DataFrame, right: DataFrame, key: str, left_time: str, right_time: str, seconds: int) -> DataFrame:

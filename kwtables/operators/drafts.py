@@ -39,7 +39,7 @@ def draft_path_groups(index: PathIndex, q: Query, k: int | None = 100, nearest_m
     if not nearest_match_only:
         return pattern_product(index, q, k, prune="prefix")
     postings = index.postings(list(q.words))
-    return pattern_product(replace(index, full=nearest_only(postings, index.graph)), q, k, prune="prefix")
+    return pattern_product(replace(index, full=nearest_only(postings, index.graph), facts={}), q, k, prune="prefix")
 
 
 def nearest_only(postings: DataFrame, graph: KnowledgeGraph) -> DataFrame:

@@ -8,12 +8,13 @@ Two layouts serve the two search directions: by word, pattern, root and by root,
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.patterns import path_length, path_pattern
+from ..functions.text import normalise
 from ..sources.graph import SCHEMA_ROWS, KnowledgeGraph
 from .lineage import SALTS, store
 
@@ -73,6 +74,11 @@ class PathIndex:
     patterns: DataFrame
     full: DataFrame | None = None
     build_seconds: float = 0.0
+    #: How words were normalised; queries are normalised alike.
+    synonyms: DataFrame | None = None
+    stemmed: bool = False
+    #: What the planner found out about the index, once.
+    facts: dict = field(default_factory=dict, compare=False)
 
     # -- postings
 
@@ -187,14 +193,43 @@ class StoredIndex(PathIndex):
         return out if words is None else out.where(F.col("word").isin(words))
 
 
-def build_index(graph: KnowledgeGraph, d: int = 3, materialise: str = "split", stored: bool = True) -> PathIndex:
+def normalised(graph: KnowledgeGraph, synonyms: DataFrame | None, stemmed: bool) -> KnowledgeGraph:
+    """``graph`` with the words of entities, types and attributes in canonical form, so that variants share one posting list."""
+
+    def mapped(table: DataFrame, ident: str) -> DataFrame:
+        words = normalise(table.select(F.col(ident).alias("owner"), F.posexplode("tokens").alias("at", "word")), "word", synonyms, stemmed)
+        first = words.groupBy("owner", "word").agg(F.min("at").alias("at"))
+        own = first.groupBy("owner").agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "word"))), lambda x: x["word"]).alias("canonical"))
+        out = table.join(own, table[ident] == own["owner"], "left").withColumn("tokens", F.coalesce("canonical", F.array().cast("array<string>")))
+        return out.select(table.columns)
+
+    return replace_tables(graph, nodes=mapped(graph.nodes, "node_id"), types=mapped(graph.types, "type_id"), attrs=mapped(graph.attrs, "attr_id"))
+
+
+def replace_tables(graph: KnowledgeGraph, **tables: DataFrame) -> KnowledgeGraph:
+    return KnowledgeGraph(*(tables.get(n, getattr(graph, n)) for n in ("nodes", "edges", "types", "attrs", "ranks")))
+
+
+def build_index(graph: KnowledgeGraph, d: int = 3, materialise: str = "split", stored: bool = True, synonyms: DataFrame | None = None, stemmed: bool = False, ranks: DataFrame | str | None = None) -> PathIndex:
     """Paths, patterns and (``full``) postings of ``graph`` up to ``d`` nodes.
 
+    ``synonyms`` (word, canonical) and ``stemmed`` bring words into canonical form; a query that is parsed with the index is
+    brought into the same form. ``ranks`` (node_id, pr, or "pagerank" to compute them) weighs nodes by importance; without
+    it every node weighs 1, or what the graph brings.
+
     ``stored`` writes each once (paths by tail, postings by word, both sorted for pruning); otherwise everything stays lazy.
     """
     if materialise not in ("split", "full"):
         raise ValueError(f"unknown materialise {materialise!r}")
     began = time.time()
+    if ranks is not None:
+        from .rank import pagerank
+
+        graph = graph.with_ranks(store(pagerank(graph)) if isinstance(ranks, str) else ranks)
+    if synonyms is not None or stemmed:
+        graph = normalised(graph, synonyms, stemmed)
+        if stored:
+            graph = graph.stored()
     raw = enumerate_paths(graph, d)
     if stored:
         raw = store(raw)
@@ -208,7 +243,7 @@ def build_index(graph: KnowledgeGraph, d: int = 3, materialise: str = "split", s
     at_edge = hint(ids.where("ends_on_edge").select(F.col("labels").alias("edge_labels"), F.col("pattern_id").alias("edge_pattern")))
     paths = raw.join(at_node, "labels")
     paths = paths.withColumn("edge_labels", path_pattern(F.col("labels"), True)).join(at_edge, "edge_labels", "left").drop("edge_labels")
-    index = PathIndex(graph, d, paths, patterns)
+    index = PathIndex(graph, d, paths, patterns, synonyms=synonyms, stemmed=stemmed)
     if materialise == "full":
         full = index.postings()
         index = replace(index, full=store(full, by="word", salt="root", sort=["word", "pattern_id", "root"]) if stored else full)

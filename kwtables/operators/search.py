@@ -63,11 +63,17 @@ def candidate_roots(postings: DataFrame, q: Query) -> DataFrame:
 
 
 def tree_check_needed(index: PathIndex) -> bool:
-    """Whether two paths from one root can meet: only then must subtrees be checked.
+    """Whether two paths from one root can meet: only then must subtrees be checked. Found once for an index.
 
     Derived from the schema and the data: safe if every attribute has one value at most for each entity, no value is
     shared, and no root type reaches a type (other than unshared text) by two label paths.
     """
+    if "check" not in index.facts:
+        index.facts["check"] = _paths_can_meet(index)
+    return index.facts["check"]
+
+
+def _paths_can_meet(index: PathIndex) -> bool:
     g = index.graph
     if g.edges.groupBy("src", "attr_id").count().where("count > 1").limit(1).count():
         return True
@@ -118,14 +124,16 @@ def _order(q: Query, score: str = "score") -> list[Column]:
 def rank_patterns(grouped: DataFrame, q: Query, patterns: DataFrame, k: int | None) -> DataFrame:
     """``rank, pattern_ids, label, height, n_trees, score``: the k best (None: all), labelled.
 
-    With k the driver-side sort holds k rows; all patterns are ranked by a range-partitioned sort elsewhere.
+    With k the driver-side sort holds k rows, and those are broadcast to the dictionary, whatever its size; all patterns are
+    labelled by joins that the planner chooses.
     """
     top = grouped.orderBy(*_order(q)).limit(k) if k is not None else grouped
     names = patterns.select("pattern_id", F.col("label").alias("text"), F.col("len").alias("nodes"))
+    few = F.broadcast if k is not None and k <= CHOSEN_ROWS else (lambda x: x)
     out = top
     for i, p in enumerate(q.ids, 1):
         own = names.select(F.col("pattern_id").alias(p), F.col("text").alias(f"label{i}"), F.col("nodes").alias(f"nodes{i}"))
-        out = out.join(F.broadcast(own), p)
+        out = own.join(few(out), p)
     ranked = out.withColumn("rank", F.row_number().over(Window.orderBy(*_order(q)))) if k is not None else out.withColumn("rank", F.lit(None).cast("int"))
     extra = [c for c in ("score_est",) if c in grouped.columns]
     return ranked.select("rank", F.array(*q.ids).alias("pattern_ids"), F.concat_ws(" | ", *(f"label{i}" for i in range(1, len(q.ids) + 1))).alias("label"), height([F.col(f"nodes{i}") for i in range(1, len(q.ids) + 1)]).alias("height"), "n_trees", "score", *extra)
@@ -287,17 +295,30 @@ def state_size(index: PathIndex, q: Query) -> DataFrame:
 # -- type by type
 
 
-def typed_topk(index: PathIndex, q: Query, k: int = 100, lam: float = float("inf"), rho: float = 1.0, seed: int = 0, schedule: str = "single_pass", check: bool | None = None) -> DataFrame:
-    """The k best of each root type, then of all; types with ``lam`` or more path combinations are estimated from sampled roots.
+def typed_topk(index: PathIndex, q: Query, k: int | None = 100, lam: float = float("inf"), rho: float = 1.0, seed: int = 0, schedule: str = "single_pass", check: bool | None = None, batch_trees: float = 1e7) -> DataFrame:
+    """The k best of each root type (None: all), then of all; types with ``lam`` or more path combinations are estimated from
+    sampled roots.
 
     Roots are kept by a digest of their id, so a run repeats anywhere. Estimated leaders of sampled types are scored again
-    over all roots. ``single_pass`` lets one spilling aggregation hold all types; ``loop`` runs one job for each type, which
-    bounds the state by the largest type.
+    over all roots. ``single_pass`` lets one spilling aggregation hold all types. ``loop`` runs one type after the other and
+    keeps only its k patterns (written out) before the next begins, so the state is that of the largest type; ``batches``
+    runs types together as long as they have ``batch_trees`` path combinations or fewer.
     """
+    if k is None and rho < 1.0 and lam != float("inf"):
+        raise ValueError("sampling needs k: only leaders are scored again")
     postings = index.postings(list(q.words))
-    if schedule == "loop":
-        kinds = [r[0] for r in candidate_roots(postings, q).select("root_type").distinct().orderBy("root_type").collect()]
-        parts = [_typed(index, postings.where(F.col("root_type") == t), q, k, lam, rho, seed, check) for t in kinds]
+    if schedule in ("loop", "batches"):
+        sizes = subtree_counts(index, q).orderBy("root_type").collect()  # a row for each root type
+        lots: list[list[int]] = []
+        held = 0.0
+        for r in sizes:
+            if schedule == "batches" and lots and held + r["n_trees"] <= batch_trees:
+                lots[-1].append(r["root_type"])
+                held += r["n_trees"]
+            else:
+                lots.append([r["root_type"]])
+                held = r["n_trees"]
+        parts = [store(_typed(index, postings.where(F.col("root_type").isin(lot)), q, k, lam, rho, seed, check)) for lot in lots]
         grouped = reduce(DataFrame.unionByName, parts) if parts else _typed(index, postings, q, k, lam, rho, seed, check)
     elif schedule == "single_pass":
         grouped = _typed(index, postings, q, k, lam, rho, seed, check)
@@ -306,12 +327,14 @@ def typed_topk(index: PathIndex, q: Query, k: int = 100, lam: float = float("inf
     return rank_patterns(grouped, q, index.patterns, k)
 
 
-def _typed(index: PathIndex, postings: DataFrame, q: Query, k: int, lam: float, rho: float, seed: int, check: bool | None) -> DataFrame:
+def _typed(index: PathIndex, postings: DataFrame, q: Query, k: int | None, lam: float, rho: float, seed: int, check: bool | None) -> DataFrame:
     best = Window.partitionBy("root_type").orderBy(order_key("score").desc(), *map(F.asc, q.ids))
     roots = candidate_roots(postings, q)
     if lam == float("inf") or rho >= 1.0:
         grouped = group_trees(join_trees(postings.join(roots, ["root", "root_type"], "left_semi"), q, check=check), q)
-        return grouped.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).drop("place").withColumn("score_est", F.col("score"))
+        if k is not None:
+            grouped = grouped.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).drop("place")
+        return grouped.withColumn("score_est", F.col("score"))
     # one row for each root type: the schema's size
     rates = root_path_counts(postings, q).groupBy("root_type").agg(F.sum("n").alias("n")).select("root_type", F.when(F.col("n") >= lam, F.lit(rho)).otherwise(F.lit(1.0)).alias("rate"))
     sampled = roots.join(F.broadcast(rates), "root_type").where(root_sample(F.col("root"), seed, F.col("rate"))).select("root", "root_type")

@@ -29,8 +29,9 @@ class SearchPlan:
 
 
 def parse_query(index: PathIndex, text: str, score: ScoreSpec | None = None, validity: str = "tree", synonyms: DataFrame | None = None, stemmed: bool = False) -> Query:
-    """Words of ``text`` in order, as a set, through the same normalisation as the index."""
+    """Words of ``text`` in order, as a set, through the same normalisation as the index (or the one given)."""
     spark = index.patterns.sparkSession
+    synonyms, stemmed = synonyms if synonyms is not None else index.synonyms, stemmed or index.stemmed
     words = spark.range(1).select(F.posexplode(tokenize(F.lit(text))).alias("pos", "word"))
     if synonyms is not None or stemmed:
         words = normalise(words, "word", synonyms, stemmed)
@@ -57,9 +58,13 @@ def plan(index: PathIndex, q: Query, method: str = "typed_topk", k: int | None =
 
 
 def join_order(index: PathIndex, q: Query) -> list[str]:
-    """Words from the shortest posting list to the longest."""
-    sizes = {r["word"]: r["count"] for r in index.postings(list(q.words)).groupBy("word").count().collect()}
-    return sorted(q.words, key=lambda w: (sizes.get(w, 0), w))
+    """Words from the shortest posting list to the longest; a word's list is measured once for an index."""
+    sizes = index.facts.setdefault("sizes", {})
+    new = [w for w in q.words if w not in sizes]
+    if new:
+        found = {r["word"]: r["count"] for r in index.postings(new).groupBy("word").count().collect()}
+        sizes.update((w, found.get(w, 0)) for w in new)
+    return sorted(q.words, key=lambda w: (sizes[w], w))
 
 
 def run(index: PathIndex, p: SearchPlan) -> DataFrame:
@@ -71,7 +76,7 @@ def run(index: PathIndex, p: SearchPlan) -> DataFrame:
     if p.method == "root_expansion":
         return search.root_expansion(index, q, p.k, check=p.check)
     if p.method == "typed_topk":
-        return search.typed_topk(index, q, p.k or 2**31 - 1, p.lam, p.rho, p.seed, check=p.check)
+        return search.typed_topk(index, q, p.k, p.lam, p.rho, p.seed, check=p.check)
     if p.method == "individual_topk":
         return search.individual_topk(index, q, p.k or 100)
     if p.method == "factorised":

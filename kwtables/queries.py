@@ -411,6 +411,68 @@ def typed_topk_always_sampled(spark, sf_dir):
     return out.select("rank", "label", "height", "n_trees", F.round("score", 6).alias("score"), F.round("score_est", 6).alias("score_est"))
 
 
+@query(_sampled_sql(FOUR, 5, LAMBDA, RHO, SEED))
+def draft_sampled_topk(spark, sf_dir):
+    out = drafts.draft_sampled(graph_for(spark, sf_dir, "linked"), Query(tuple(FOUR)), 3, 5, LAMBDA, RHO, SEED, nearest_match_only=False)
+    return out.select("rank", "label", "height", "n_trees", F.round("score", 6).alias("score"), F.round("score_est", 6).alias("score_est"))
+
+
+@query(_TOP)
+def typed_topk_batches(spark, sf_dir):
+    return result(search.typed_topk(index_for(spark, sf_dir, "linked"), Query(tuple(FOUR)), schedule="batches", batch_trees=10_000))
+
+
+@query(_TOP.replace("CAST(rank AS INTEGER) AS rank, ", ""))
+def search_all_patterns(spark, sf_dir):
+    return result(planner.search_words(index_for(spark, sf_dir, "linked"), " ".join(FOUR), k=None)).drop("rank")
+
+
+@query(f"{O.index('linked', 3, FOUR)}, {O.trees(FOUR)} SELECT CAST(count(*) AS BIGINT) AS n_patterns FROM (SELECT DISTINCT {O.labels(FOUR)} FROM tree)")
+def count_patterns(spark, sf_dir):
+    return search.count_patterns(index_for(spark, sf_dir, "linked"), Query(tuple(FOUR)))
+
+
+@query(f"SELECT CAST(n * 15 + s AS DOUBLE) AS root_expansion, round(n * 15 + s + n * ln(100), 3) AS typed_topk FROM (SELECT sum(n_trees) AS n FROM ({_count_sql(HEAVY)})), (SELECT CAST(count(*) AS DOUBLE) AS s FROM ({O.index('linked', 3, HEAVY)} SELECT * FROM post))")
+def cost_model(spark, sf_dir):
+    ix, q = index_for(spark, sf_dir, "linked"), Query(tuple(HEAVY))
+    n = search.subtree_counts(ix, q, by=None).first()["n_trees"]
+    sizes = [r["count"] for r in ix.postings(HEAVY).groupBy("word").count().collect()]
+    model = measures.cost_model(n, 3, len(HEAVY), sizes)
+    return spark.createDataFrame([(model["root_expansion"], round(model["typed_topk"], 3))], "root_expansion double, typed_topk double")
+
+
+@query("SELECT CAST(9 AS BIGINT) AS n_patterns, CAST(10 AS BIGINT) AS n_trees")
+def worked_example(spark, sf_dir):
+    g, q = fixtures.software(spark)
+    every = search.root_expansion(build_index(g, 3, "full"), q)
+    return every.agg(F.count(F.lit(1)).alias("n_patterns"), F.sum("n_trees").alias("n_trees"))
+
+
+def _normal_sql(text: str, stemmed: bool) -> str:
+    """The same statement over words in canonical form."""
+    variants = " ".join(f"WHEN '{a}' THEN '{b}'" for a, b in SYNONYMS)
+    word = f"CASE w {variants} ELSE w END"
+    if stemmed:
+        word = "CASE WHEN regexp_matches(w, '^[a-z]{2,}sses$') THEN left(w, -2) WHEN regexp_matches(w, '^[a-z]{2,}ies$') THEN left(w, -3) || 'y' WHEN regexp_matches(w, '^[a-z]{2,}[^s]s$') THEN left(w, -1) WHEN regexp_matches(w, '^[a-z]{3,}ing$') THEN left(w, -3) WHEN regexp_matches(w, '^[a-z]{3,}ed$') THEN left(w, -2) ELSE w END"
+    for column in ("text", "type", "attr"):
+        plain = O.words_of(column)
+        text = text.replace(plain, f"list_distinct(list_transform({plain}, lambda w: {word}))")
+    return text
+
+
+@query(_normal_sql(O.ranked("linked", 3, ["large", "widget", "urgent"]), False))
+def search_with_synonyms(spark, sf_dir):
+    table = spark.createDataFrame(SYNONYMS, "word string, canonical string")
+    ix = build_index(graph_for(spark, sf_dir, "linked"), 3, "full", synonyms=table)
+    return result(search.typed_topk(ix, planner.parse_query(ix, "big gadget high")))
+
+
+@query(_normal_sql(O.ranked("linked", 3, ["order", "statu", "build"]), True))
+def search_stemmed(spark, sf_dir):
+    ix = build_index(graph_for(spark, sf_dir, "linked"), 3, "full", stemmed=True)
+    return result(search.typed_topk(ix, planner.parse_query(ix, "orders status building")))
+
+
 def _topk(agg: str):
     @query(O.ranked("linked", 3, FOUR, 10, agg=agg), name=f"topk_{agg}")
     def run(spark, sf_dir):
@@ -690,7 +752,14 @@ def wide_profile_topk(spark, sf_dir):
     return result(search.typed_topk(ix, Query(("document", "lang", "en")), 20))
 
 
-@query()
+def _precision_rows_sql(k: int, rhos: tuple[float, ...]) -> str:
+    exact = O.ranked("many_types", 3, MANY, k)
+    approx = lambda rho: _sampled_sql(MANY, k, 0, rho, SEED).replace(O.graph("linked"), O.graph("many_types"))
+    rows = [f"SELECT {rho}::DOUBLE AS rho, CAST(count(*) FILTER (label IN (SELECT label FROM approx{i})) AS BIGINT) AS found, CAST(count(*) AS BIGINT) AS possible, round(count(*) FILTER (label IN (SELECT label FROM approx{i})) / count(*), 6) AS precision FROM exact" for i, rho in enumerate(rhos)]
+    return f"WITH exact AS MATERIALIZED ({exact}), " + ", ".join(f"approx{i} AS MATERIALIZED ({approx(rho)})" for i, rho in enumerate(rhos)) + " " + " UNION ALL ".join(rows)
+
+
+@query(_precision_rows_sql(50, (0.05, 0.2, 0.5, 1.0)))
 def experiment_sampling(spark, sf_dir):
     """Precision and size of the answer as the sampling rate grows."""
     ix = index_for(spark, sf_dir, "many_types")

@@ -6,7 +6,7 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import tokenize
@@ -93,7 +93,21 @@ def lineitem_keyed(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = spark.read.parquet(f"{sf_dir}/lineitem.parquet")
     order = [F.col(c) for c in sorted(rows.columns)]
     place = F.row_number().over(Window.partitionBy("l_orderkey").orderBy(*order))
-    return rows.withColumn("l_key", F.col("l_orderkey") * 65536 + place)
+    return rows.withColumn("place", place).withColumn("l_key", keyed("l_orderkey", F.col("place"), 65536, F.col("l_orderkey"), F.col("place"))).drop("place")
+
+
+def keyed(key: str, place: Column, room: int, *whole: Column) -> Column:
+    """``key * room + place`` while the place fits into ``room``, else a negative key from a hash of the ``whole`` key, which no room bounds."""
+    far = -F.shiftrightunsigned(F.xxhash64(*whole), 8) - 1
+    return F.when((place >= 0) & (place < room), F.col(key) * room + place).otherwise(far)
+
+
+def schema_names(names: DataFrame) -> list[str]:
+    """The distinct names of a one-column table, sorted; more than SCHEMA_ROWS of them are no schema and raise."""
+    rows = names.distinct().limit(SCHEMA_ROWS + 1).collect()
+    if len(rows) > SCHEMA_ROWS:
+        raise ValueError(f"more than {SCHEMA_ROWS} types or attributes")
+    return sorted(r[0] for r in rows if r[0] is not None)
 
 
 def as_text(column: str) -> str:
@@ -154,8 +168,13 @@ def _wide(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
         return links
     if table == "sections":
         return links.select("section_key", "section").distinct()
-    turns = read("conversations").withColumn("turn_key", F.col("conv_id") * 4096 + F.col("turn"))
-    return turns.dropDuplicates(["turn_key"]) if table == "turns" else turns.select("conv_id").distinct()
+    turns = read("conversations")
+    if table != "turns":
+        return turns.select("conv_id").distinct()
+    # turns of equal number are numbered on; a conversation of any length keeps all its turns
+    again = F.row_number().over(Window.partitionBy("conv_id", "turn").orderBy("role", "text"))
+    numbered = turns.withColumn("again", again)
+    return numbered.withColumn("turn_key", keyed("conv_id", F.when(F.col("again") == 1, F.col("turn")).otherwise(F.lit(-1)), 4096, F.col("conv_id"), F.col("turn"), F.col("again"))).drop("again")
 
 
 def spec_for(profile: str) -> GraphSpec:
@@ -235,9 +254,11 @@ def build_graph(spark: SparkSession, sf_dir: str, profile: str | GraphSpec = "fo
     names = {n.kind for n in spec.nodes if n.type_expr is None}
     for n in spec.nodes:
         if n.type_expr is not None:
-            names |= {r[0] for r in read(n.table).select(F.expr(n.type_expr)).distinct().limit(SCHEMA_ROWS).collect() if r[0] is not None} | {n.kind}
+            names |= {*schema_names(read(n.table).select(F.expr(n.type_expr))), n.kind}
     types = schema_table(spark, [LITERAL_TYPE, *sorted(names - {LITERAL_TYPE})], "type")
     attrs = schema_table(spark, sorted({e.attr for e in spec.edges} | {x.attr for x in spec.literals}), "attr")
+    if len(spec.nodes) >= KINDS or len({e.attr for e in spec.edges} | {x.attr for x in spec.literals}) > ATTRS:
+        raise ValueError(f"ids have room for {KINDS - 1} kinds of entities and {ATTRS} attributes")
     attr_id = {r["attr_name"]: r["attr_id"] for r in attrs.collect()}
 
     entities = _union([read(n.table).where(f"{n.key} IS NOT NULL").select(ident(n.kind, n.key).alias("node_id"), F.concat_ws("/", F.lit(n.kind), F.expr(f"CAST({n.key} AS STRING)")).alias("node_key"), F.expr(f"COALESCE({n.type_expr}, '{n.kind}')" if n.type_expr else f"'{n.kind}'").alias("type_name"), F.expr(n.text).alias("text")) for n in spec.nodes])
@@ -261,8 +282,8 @@ def graph_from_triples(triples: DataFrame, types_of: DataFrame, texts_of: DataFr
     """
     spark = triples.sparkSession
     t = triples.where("subject IS NOT NULL AND attr IS NOT NULL AND object IS NOT NULL").distinct()
-    types = schema_table(spark, [LITERAL_TYPE, *sorted(r[0] for r in types_of.select("type_name").distinct().limit(SCHEMA_ROWS).collect() if r[0] not in (None, LITERAL_TYPE))], "type")
-    attrs = schema_table(spark, sorted(r[0] for r in t.select("attr").distinct().limit(SCHEMA_ROWS).collect()), "attr")
+    types = schema_table(spark, [LITERAL_TYPE, *(n for n in schema_names(types_of.select("type_name")) if n != LITERAL_TYPE)], "type")
+    attrs = schema_table(spark, schema_names(t.select("attr")), "attr")
     texts = (texts_of or types_of.select("entity", F.col("entity").alias("text"))).dropDuplicates(["entity"])
     ent = types_of.dropDuplicates(["entity"]).join(F.broadcast(types.select("type_id", "type_name")), "type_name").join(texts, "entity", "left")
     entities = ent.select(F.xxhash64("entity").alias("node_id"), F.col("entity").alias("node_key"), "type_id", F.coalesce("text", "entity").alias("text"), F.lit(False).alias("is_literal"))
