@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..sources.graph import KnowledgeGraph
 from .index import PathIndex
 from .lineage import store
-from .search import Query, backward_postings, enumerate_then_group, pattern_product, typed_topk
+from .search import Query, backward_postings, enumerate_then_group, must_check, pattern_product, typed_topk
 
 
 def online_index(graph: KnowledgeGraph, q: Query, d: int, nearest_match_only: bool) -> PathIndex:
@@ -39,7 +39,8 @@ def draft_path_groups(index: PathIndex, q: Query, k: int | None = 100, nearest_m
     if not nearest_match_only:
         return pattern_product(index, q, k, prune="prefix")
     postings = index.postings(list(q.words))
-    return pattern_product(replace(index, full=nearest_only(postings, index.graph), facts={}), q, k, prune="prefix")
+    check = must_check(index, q, None)  # fewer paths can meet no more than all of them
+    return pattern_product(replace(index, full=nearest_only(postings, index.graph), facts={}), q, k, prune="prefix", check=check)
 
 
 def nearest_only(postings: DataFrame, graph: KnowledgeGraph) -> DataFrame:

@@ -84,6 +84,11 @@ def _paths_can_meet(index: PathIndex) -> bool:
     return ends.groupBy("root_type", "last").agg(F.count_distinct("labels").alias("n")).where("n > 1").limit(1).count() > 0
 
 
+def must_check(index: PathIndex, q: Query, check: bool | None) -> bool:
+    """``check`` as given; None asks for the check only where subtrees have to be trees and paths of this index can meet."""
+    return q.validity == "tree" and tree_check_needed(index) if check is None else check
+
+
 def join_trees(postings: DataFrame, q: Query, keep_paths: bool = False, check: bool | None = None) -> DataFrame:
     """One row for each valid subtree: ``root, root_type, p1.., tree_score``, with the paths if wanted.
 
@@ -199,6 +204,16 @@ def pattern_candidates(postings: DataFrame, q: Query) -> DataFrame:
     return reduce(lambda a, b: a.join(b, "root_type"), lists)
 
 
+def _combine(postings: DataFrame, q: Query, lists: list[DataFrame], prune: str) -> DataFrame:
+    """The words' ``lists`` (a row for each root and pattern) joined to the roots of every combination."""
+    if prune == "prefix":
+        return reduce(lambda a, b: a.join(b, ["root", "root_type"]), lists)
+    out = pattern_candidates(postings, q).join(lists[0], ["root_type", q.ids[0]])
+    for p, rows in zip(q.ids[1:], lists[1:], strict=True):
+        out = out.join(rows, ["root", "root_type", p])
+    return out
+
+
 def nonempty_roots(postings: DataFrame, q: Query, prune: str = "prefix") -> DataFrame:
     """``root, root_type, p1..``: the roots of every combination whose root lists intersect.
 
@@ -206,22 +221,22 @@ def nonempty_roots(postings: DataFrame, q: Query, prune: str = "prefix") -> Data
     and tests each against all of its lists.
     """
     lists = [postings.where(F.col("word") == w).select("root", "root_type", F.col("pattern_id").alias(p)).distinct() for w, p in zip(q.words, q.ids, strict=True)]
-    if prune == "prefix":
-        return reduce(lambda a, b: a.join(b, ["root", "root_type"]), lists)
-    out = pattern_candidates(postings, q).join(lists[0], ["root_type", q.ids[0]])
-    for p, rows in zip(q.ids[1:], lists[1:], strict=True):
-        out = out.join(rows, ["root", "root_type", p], "left_semi")
-    return out.select("root", "root_type", *q.ids)
+    return _combine(postings, q, lists, prune).select("root", "root_type", *q.ids)
 
 
 def pattern_product(index: PathIndex, q: Query, k: int | None = 100, prune: str = "prefix", check: bool | None = None) -> DataFrame:
-    """Combinations with common roots first, then their paths, scored pattern by pattern; k patterns are kept."""
+    """Combinations with common roots first, scored pattern by pattern; k patterns are kept.
+
+    Where no combination of paths has to be checked, the root lists carry each word's sums and a combination is scored as soon
+    as its lists are intersected; otherwise the paths of what is left are joined.
+    """
     postings = index.postings(list(q.words))
-    alive = nonempty_roots(postings, q, prune)
-    check = q.validity == "tree" if check is None else check
-    frames = _frames(postings, q, check)
-    acc = alive
-    for i, f in enumerate(frames, 1):
+    check = must_check(index, q, check)
+    if not check and has_closed_form(q):
+        grouped = closed_scores(_combine(postings, q, root_sums(postings, q), prune), q)
+        return rank_patterns(grouped.withColumn("n_trees", F.col("n_trees").cast("bigint")), q, index.patterns, k)
+    acc = nonempty_roots(postings, q, prune)
+    for i, f in enumerate(_frames(postings, q, check), 1):
         f = f.withColumn(f"edges{i}", edges_of(F.col(f"nodes{i}"), F.col(f"attrs{i}"))).drop(f"nodes{i}", f"attrs{i}") if check else f
         acc = acc.join(f, ["root", "root_type", f"p{i}"])
         if check and i > 1:
@@ -262,7 +277,7 @@ def root_expansion(index: PathIndex, q: Query, k: int | None = None, level: str
         return nonempty_roots(postings, q).select("root_type", *q.ids).distinct()
     roots = candidate_roots(postings, q) if len(q.words) > 1 else None
     held = postings.join(roots, ["root", "root_type"], "left_semi") if roots is not None else postings
-    trees = join_trees(held, q, keep_paths=return_trees, check=check)
+    trees = join_trees(held, q, keep_paths=return_trees, check=must_check(index, q, check))
     return trees if return_trees else rank_patterns(group_trees(trees, q), q, index.patterns, k)
 
 
@@ -329,29 +344,39 @@ def typed_topk(index: PathIndex, q: Query, k: int | None = 100, lam: float = flo
 
 def _typed(index: PathIndex, postings: DataFrame, q: Query, k: int | None, lam: float, rho: float, seed: int, check: bool | None) -> DataFrame:
     best = Window.partitionBy("root_type").orderBy(order_key("score").desc(), *map(F.asc, q.ids))
-    roots = candidate_roots(postings, q)
+    check = must_check(index, q, check)
+
+    def of(roots: DataFrame) -> DataFrame:
+        return group_trees(join_trees(postings.join(roots, ["root", "root_type"], "left_semi"), q, check=check), q)
+
+    def leading(grouped: DataFrame) -> DataFrame:
+        return grouped if k is None else grouped.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).drop("place")
+
     if lam == float("inf") or rho >= 1.0:
-        grouped = group_trees(join_trees(postings.join(roots, ["root", "root_type"], "left_semi"), q, check=check), q)
-        if k is not None:
-            grouped = grouped.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).drop("place")
-        return grouped.withColumn("score_est", F.col("score"))
-    # one row for each root type: the schema's size
-    rates = root_path_counts(postings, q).groupBy("root_type").agg(F.sum("n").alias("n")).select("root_type", F.when(F.col("n") >= lam, F.lit(rho)).otherwise(F.lit(1.0)).alias("rate"))
-    sampled = roots.join(F.broadcast(rates), "root_type").where(root_sample(F.col("root"), seed, F.col("rate"))).select("root", "root_type")
-    grouped = group_trees(join_trees(postings.join(sampled, ["root", "root_type"], "left_semi"), q, check=check), q)
-    scaled = grouped.join(F.broadcast(rates), "root_type").withColumn("score", F.col("score") / F.col("rate") if q.score.agg in ("sum", "count") else F.col("score"))
-    leaders = scaled.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).select("root_type", *q.ids, F.col("score").alias("score_est"))
-    leaders = store(leaders)  # at most k rows for each root type, read several times below
-    small = F.broadcast if leaders.count() <= CHOSEN_ROWS else (lambda x: x)
-    exact = group_trees(_expand(postings.join(roots, ["root", "root_type"], "left_semi"), q, leaders, small, check), q)
-    return exact.join(small(leaders), ["root_type", *q.ids])
-
-
-def _expand(postings: DataFrame, q: Query, chosen: DataFrame, small, check: bool | None) -> DataFrame:
-    """Subtrees of chosen patterns (root_type, p1..) over all roots; every prefix that no chosen pattern has is dropped at once."""
-    check = q.validity == "tree" if check is None else check
+        return leading(of(candidate_roots(postings, q))).withColumn("score_est", F.col("score"))
+    # common roots with their path combinations: read once from the postings, then twice from a table of roots
+    roots = store(root_path_counts(postings, q))
+    heavy = [r["root_type"] for r in roots.groupBy("root_type").agg(F.sum("n").alias("n")).where(F.col("n") >= lam).select("root_type").collect()]  # types: the schema's size
+    if not heavy:
+        return leading(of(roots)).withColumn("score_est", F.col("score"))
+    is_heavy = F.col("root_type").isin(heavy)
+    rate = F.when(is_heavy, F.lit(rho)).otherwise(F.lit(1.0))
+    grouped = of(roots.where(root_sample(F.col("root"), seed, rate)))
+    scaled = grouped.withColumn("score", F.col("score") / rate) if q.score.agg in ("sum", "count") else grouped
+    leaders = store(leading(scaled).withColumnRenamed("score", "score_est"))
+    light = leaders.where(~is_heavy).withColumn("score", F.col("score_est"))  # not sampled, so exact already
+    small = F.broadcast if k * len(heavy) <= CHOSEN_ROWS else (lambda x: x)
+    chosen = leaders.where(is_heavy).select("root_type", *q.ids, "score_est")
+    exact = _rescored(postings.where(is_heavy), q, chosen, small, check).join(small(chosen), ["root_type", *q.ids])
+    return exact.unionByName(light)
+
+
+def _rescored(postings: DataFrame, q: Query, chosen: DataFrame, small, check: bool) -> DataFrame:
+    """``root_type, p1.., n_trees, score`` of chosen patterns (root_type, p1..) over all roots: from sums for each root where
+    no subtree has to be checked, else from the subtrees. Every prefix that no chosen pattern has is dropped at once."""
+    closed = not check and has_closed_form(q)
     acc = None
-    for i, f in enumerate(_frames(postings, q, check), 1):
+    for i, f in enumerate(root_sums(postings, q) if closed else _frames(postings, q, check), 1):
         f = f.join(small(chosen.select("root_type", f"p{i}").distinct()), ["root_type", f"p{i}"], "left_semi")
         f = f.withColumn(f"edges{i}", edges_of(F.col(f"nodes{i}"), F.col(f"attrs{i}"))).drop(f"nodes{i}", f"attrs{i}") if check else f
         if acc is None:
@@ -360,9 +385,11 @@ def _expand(postings: DataFrame, q: Query, chosen: DataFrame, small, check: bool
         acc = acc.join(f, ["root", "root_type"]).join(small(chosen.select("root_type", *q.ids[:i]).distinct()), ["root_type", *q.ids[:i]], "left_semi")
         if check:
             acc = acc.where(is_tree([F.col(f"edges{j}") for j in range(1, i + 1)]))
+    if closed:
+        return closed_scores(acc, q).withColumn("n_trees", F.col("n_trees").cast("bigint"))
     for c in q.score.columns:
         acc = acc.withColumn(c, sum((F.col(f"{c}{i}") for i in range(2, len(q.words) + 1)), F.col(f"{c}1")))
-    return acc.withColumn("tree_score", q.score.tree_score())
+    return group_trees(acc.withColumn("tree_score", q.score.tree_score()), q)
 
 
 # -- single subtrees, decompositions
@@ -383,22 +410,37 @@ def score_by_root(index: PathIndex, q: Query) -> DataFrame:
     return trees.groupBy("root", *q.ids).agg(F.count(F.lit(1)).alias("n_trees"), F.sum("tree_score").alias("score"))
 
 
-def factorised_scores(index: PathIndex, q: Query, k: int | None = None) -> DataFrame:
-    """Pattern scores without forming subtrees, for product validity and the usual three factors with exponents -1, 1, 1.
+def has_closed_form(q: Query) -> bool:
+    """Whether a pattern's score follows from sums for each root: the three usual factors with exponents -1, 1, 1, no maximum."""
+    return [(t.column, t.exponent) for t in q.score.terms] == [("len", -1.0), ("pr", 1.0), ("sim", 1.0)] and q.score.agg in ("sum", "avg", "count")
+
+
+def root_sums(postings: DataFrame, q: Query) -> list[DataFrame]:
+    """Each word's paths by root and pattern: their count, length, sums of ranks and similarities, and sum of the products."""
+    sums = [F.count(F.lit(1)).cast("double").alias("n"), F.first("len").alias("l"), F.sum("pr").alias("a"), F.sum("sim").alias("b"), F.sum(F.col("pr") * F.col("sim")).alias("c")]
+    by_word = [postings.where(F.col("word") == w).groupBy("root", "root_type", F.col("pattern_id").alias(p)).agg(*sums) for w, p in zip(q.words, q.ids, strict=True)]
+    return [f.withColumnsRenamed({c: f"{c}{i}" for c in "nlabc"}) for i, f in enumerate(by_word, 1)]
+
+
+def closed_scores(joined: DataFrame, q: Query) -> DataFrame:
+    """``root_type, p1.., n_trees, score`` from the sums of all words at each common root.
 
     Under one root, a pattern's lengths are fixed, so the sum over all path combinations of (sum of ranks) times (sum of
-    similarities) follows from each word's count, sums and sum of products. Work is in (root, pattern) pairs, not subtrees.
+    similarities) follows from each word's count, sums and sum of products.
     """
-    if [(t.column, t.exponent) for t in q.score.terms] != [("len", -1.0), ("pr", 1.0), ("sim", 1.0)] or q.score.agg not in ("sum", "avg", "count"):
-        raise ValueError("factorised scores need the three usual factors and sum, avg or count")
-    postings = index.postings(list(q.words))
     m = len(q.words)
-    frames = [postings.where(F.col("word") == w).groupBy("root", "root_type", F.col("pattern_id").alias(f"p{i}")).agg(F.count(F.lit(1)).cast("double").alias(f"n{i}"), F.first("len").alias(f"l{i}"), F.sum("pr").alias(f"a{i}"), F.sum("sim").alias(f"b{i}"), F.sum(F.col("pr") * F.col("sim")).alias(f"c{i}")) for i, w in enumerate(q.words, 1)]
-    joined = reduce(lambda a, b: a.join(b, ["root", "root_type"]), frames)
     others = lambda *skip: reduce(lambda a, b: a * b, [F.col(f"n{i}") for i in range(1, m + 1) if i not in skip], F.lit(1.0))
     total = reduce(lambda a, b: a + b, [F.col(f"c{i}") * others(i) for i in range(1, m + 1)] + [F.col(f"a{i}") * F.col(f"b{j}") * others(i, j) for i in range(1, m + 1) for j in range(1, m + 1) if i != j])
     size = reduce(lambda a, b: a + b, [F.col(f"l{i}") for i in range(1, m + 1)]).cast("double")
-    n = F.sum(others())
-    s = F.sum(total / size)
+    n, s = F.sum(others()), F.sum(total / size)
     score = {"sum": s, "avg": s / n, "count": n}[q.score.agg]
-    return rank_patterns(joined.groupBy("root_type", *q.ids).agg(n.alias("n_trees"), score.alias("score")), q, index.patterns, k)
+    return joined.groupBy("root_type", *q.ids).agg(n.alias("n_trees"), score.alias("score"))
+
+
+def factorised_scores(index: PathIndex, q: Query, k: int | None = None) -> DataFrame:
+    """Pattern scores without forming subtrees, for product validity and scores with a closed form: work is in (root, pattern)
+    pairs, not subtrees."""
+    if not has_closed_form(q):
+        raise ValueError("factorised scores need the three usual factors and sum, avg or count")
+    joined = reduce(lambda a, b: a.join(b, ["root", "root_type"]), root_sums(index.postings(list(q.words)), q))
+    return rank_patterns(closed_scores(joined, q), q, index.patterns, k)

@@ -51,8 +51,7 @@ def plan(index: PathIndex, q: Query, method: str = "typed_topk", k: int | None =
         out = replace(out, query=replace(q, order=tuple(join_order(index, q))), notes=("rarest words first",))
     if q.validity == "tree" and not search.tree_check_needed(index):
         out = replace(out, check=False, notes=(*out.notes, "tree check left out"))
-    usual = [(t.column, t.exponent) for t in q.score.terms] == [("len", -1.0), ("pr", 1.0), ("sim", 1.0)] and q.score.agg != "max"
-    if usual and (q.validity == "product" or out.check is False) and method in ("root_expansion", "typed_topk") and rho >= 1.0:
+    if search.has_closed_form(q) and (q.validity == "product" or out.check is False) and method in ("root_expansion", "typed_topk") and rho >= 1.0:
         out = replace(out, method="factorised", notes=(*out.notes, "scores factorised"))
     return out
 
