@@ -6,9 +6,11 @@ Each runs searches one after the other and returns its measurements as a small D
 from __future__ import annotations
 
 import argparse
+import itertools
 import json
 import time
 from collections.abc import Callable, Iterable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -98,8 +100,8 @@ def varying_k(index: PathIndex, queries: list[str], ks: Iterable[int] = (10, 20,
     return index.patterns.sparkSession.createDataFrame(rows, "k int, method string, seconds double").groupBy("k", "method").agg(F.avg("seconds").alias("seconds"))
 
 
-def sampling(index: PathIndex, queries: list[str], lambdas: Iterable[float], rhos: Iterable[float], k: int = 100, seed: int = 1) -> DataFrame:
-    """Seconds, precision and speed-up over the pattern product for each threshold and rate."""
+def sampling(index: PathIndex, queries: list[str], lambdas: Iterable[float], rhos: Iterable[float], k: int = 100, seeds: Iterable[int] = (1,)) -> DataFrame:
+    """Seconds, precision and speed-up over the pattern product for each threshold, rate and seed."""
     rows, spark = [], index.patterns.sparkSession
     for words in queries:
         q = query_of(words)
@@ -108,12 +110,22 @@ def sampling(index: PathIndex, queries: list[str], lambdas: Iterable[float], rho
         truth = {tuple(r["pattern_ids"]) for r in search.typed_topk(index, q, k).collect()}
         exact_s = time.time() - began
         for lam in lambdas:
-            for rho in rhos:
+            for rho, seed in itertools.product(rhos, seeds):
                 began = time.time()
                 found = {tuple(r["pattern_ids"]) for r in search.typed_topk(index, q, k, lam, rho, seed).collect()}
                 s = time.time() - began
-                rows.append((words, float(lam), rho, s, exact_s, base, len(truth & found) / max(1, min(k, len(truth))), len(truth & found) / k))
-    return spark.createDataFrame(rows, "query string, lam double, rho double, seconds double, exact_s double, product_s double, precision double, precision_of_k double").withColumn("speedup", F.col("product_s") / F.col("seconds"))
+                rows.append((words, float(lam), rho, seed, s, exact_s, base, len(truth & found) / max(1, min(k, len(truth))), len(truth & found) / k))
+    return spark.createDataFrame(rows, "query string, lam double, rho double, seed int, seconds double, exact_s double, product_s double, precision double, precision_of_k double").withColumn("speedup", F.col("product_s") / F.col("seconds"))
+
+
+def over_seeds(sampled: DataFrame) -> DataFrame:
+    """Means over the seeds of each query, threshold and rate."""
+    return sampled.groupBy("query", "lam", "rho").agg(*(F.avg(c).alias(c) for c in ("seconds", "exact_s", "product_s", "precision", "speedup"))).orderBy("query", "lam", "rho")
+
+
+def drawn_queries(index: PathIndex, per_m: int, most: int, mode: str = "rooted") -> list[str]:
+    """Texts of ``per_m`` queries of each length 1..most."""
+    return [r["words"] for r in query_sets.make_queries(index, per_m, most, mode).orderBy("m", "i").collect()]  # most * per_m rows
 
 
 def single_against_patterns(index: PathIndex, queries: list[str], ks: Iterable[int] = (10, 50, 100)) -> DataFrame:
@@ -152,6 +164,8 @@ def main() -> None:
     parser = argparse.ArgumentParser(description=__doc__)
     parser.add_argument("--sf-dir", default="/root/testdata/sf0.01")
     parser.add_argument("--master", default="local[8]")
+    parser.add_argument("--per-m", type=int, default=0, help="queries of each length 1..10 drawn for times by patterns and subtrees (0: the named ones)")
+    parser.add_argument("--seeds", type=int, default=5, help="runs of each sampled search")
     args = parser.parse_args()
     spark = SparkSession.builder.master(args.master).config("spark.sql.shuffle.partitions", "16").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
@@ -161,17 +175,24 @@ def main() -> None:
     show("index cost, forward", index_cost(forward, (2, 3, 4)))
     show("index cost, many types", index_cost(many, (2, 3)))
     f3, m3 = build_index(forward, 3, "full"), build_index(many, 3, "full")
-    measured = times(m3, query_sets.MANY).unionByName(times(f3, query_sets.NAMED[:8]))
+    seeds = range(1, args.seeds + 1)
+    if args.per_m:
+        linked = build_graph(spark, args.sf_dir, "linked").stored()
+        built = [build_index(many, 2, "full"), m3, build_index(linked, 2, "full"), build_index(linked, 3, "full")]
+        measured = reduce(DataFrame.unionByName, [times(ix, drawn_queries(ix, args.per_m, 10)) for ix in built])
+    else:
+        measured = times(m3, query_sets.MANY).unionByName(times(f3, query_sets.NAMED[:8]))
     measured = spark.createDataFrame(measured.collect(), measured.schema)
     show("times by patterns", by_patterns(measured))
     show("times by subtrees", by_subtrees(measured))
     show("speed-up over the baseline", measures.speedup(measured, "baseline", ["d", "query"]).groupBy("method").agg(F.exp(F.avg(F.ln("speedup"))).alias("speedup")))
-    show("share of entities", scaling(forward, ["large widget", "urgent automobile"], (0.1, 0.4, 0.7, 1.0)))
+    show("share of entities", scaling(forward, ["large widget", "urgent automobile"], [i / 10 for i in range(1, 11)]))
     show("share of types", scaling(many, ["large widget"], (0.4, 0.7, 1.0), "type"))
-    show("k", varying_k(m3, list(query_sets.MANY[:2])))
-    show("threshold", sampling(m3, [query_sets.MANY[3]], (0, 1e2, 1e3, 1e4), (0.01, 0.1)))
-    show("rate", sampling(m3, [query_sets.MANY[3]], (1e3,), (0.05, 0.1, 0.2, 0.5, 1.0)))
-    show("threshold, heavy", sampling(f3, [query_sets.HEAVY[1]], (1e3, 1e5), (0.05, 0.2)))
+    show("k", varying_k(m3, list(query_sets.MANY[:2]), range(10, 101, 10)))
+    show("threshold", over_seeds(sampling(m3, [query_sets.MANY[3]], (0, 1e2, 1e3, 1e4), (0.01, 0.1), seeds=seeds)))
+    show("rate", over_seeds(sampling(m3, [query_sets.MANY[3]], (1e3,), (0.05, 0.1, 0.2, 0.5, 1.0), seeds=seeds)))
+    show("threshold, heavy", over_seeds(sampling(f3, list(query_sets.HEAVY), (0, 1e5, 1e7), (0.01, 0.1), seeds=seeds)))
+    show("rate, heavy", over_seeds(sampling(f3, list(query_sets.HEAVY), (1e5,), (0.01, 0.05, 0.1, 0.2, 0.5), seeds=seeds)))
     show("single subtrees", single_against_patterns(m3, list(query_sets.MANY[:2])))
     show("mean rank", quality_by_depth(forward, (2, 3, 4)))
     print(json.dumps({"experiment": "case study", "result": case_study(f3)}), flush=True)
