@@ -265,7 +265,8 @@ def link(nodes: DataFrame, docs: DataFrame, words: int, similarity: Fraction, ra
         across = crossing(dense, parts, len(names), radius, similarity)
         rest = rest.unionByName(possible(across, nodes.select("node", "n", "map"), similarity)).distinct()
     rest = cut(rest.join(nearest, ["a", "b"], "left_anti"))
-    return components(edges.unionByName(verified(rest, members, similarity)))
+    # the first components stand for their edges: if nothing joins them, they are the result
+    return components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(verified(rest, members, similarity)))
 
 
 def groups(docs: DataFrame, words: int, similarity: str, families: int, radius: int | None, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:

@@ -289,19 +289,21 @@ def components(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
     the centres of large stars are joined by broadcast, so that no task has a whole star."""
     pairs = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
     for _ in range(most_rounds):
-        both = pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        around = cut(both.groupBy("u").agg(F.min("v").alias("m"), F.count("v").alias("n")).select("u", F.least("u", "m").alias("m"), "n"))
-        total = around.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first()["n"]
-        hot = around.where(F.col("n") > max(HOT_ROWS, HOT_SHARE * total)).select("u")
-        large = join_hot(both.where("v > u"), around.select("u", "m"), ["u"], hot).select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = cut(large.where("u <> v").distinct())
+        turned = pairs.select(F.col("v").alias("u"), F.col("u").alias("v"))
+        around = pairs.unionByName(turned).groupBy("u").agg(F.min("v").alias("m"), F.count("v").alias("n"), F.count_if(F.col("v") < F.col("u")).alias("lower"))
+        around = cut(around.select("u", F.least("u", "m").alias("m"), "n", "lower"))
+        none = F.lit(0)
+        state = around.agg(F.coalesce(F.sum("n"), none).alias("n"), F.coalesce(F.max("n"), none).alias("most"), F.count_if((F.col("lower") > 0) & (F.col("n") > 1)).alias("open")).first()
+        # stars only, each leaf under one root: nothing changes any more
+        if not state["open"]:
+            return pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))
+        bound = max(HOT_ROWS, HOT_SHARE * state["n"])
+        least = around.select("u", "m")
+        named = join_hot(turned, least, ["u"], around.where(F.col("n") > bound).select("u")) if state["most"] > bound else turned.join(least, "u")
+        large = cut(named.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct("v", "m"), F.struct(F.col("u").alias("v"), "m"))).alias("x")).select(F.col("x.v").alias("u"), F.col("x.m").alias("v"))
         pairs = cut(small.where("u <> v").distinct())
-        # stars only, each leaf under one root: nothing changes any more
-        state = pairs.groupBy("u").agg(F.count("v").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("n")).first()
-        if state["n"] <= 1 and pairs.select(F.col("v").alias("u")).distinct().join(pairs, "u", "left_semi").isEmpty():
-            return pairs.select(F.col("u").alias("node"), F.col("v").alias("root"))
     raise RuntimeError(f"components still open after {most_rounds} rounds")
 
 
