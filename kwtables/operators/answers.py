@@ -47,8 +47,7 @@ def answer_table(index: PathIndex, q: Query, pattern_ids: list[int], names: str
     Cells are joined with the texts by node and gathered again by the subtree's own nodes, so a task that runs again finds
     the same rows.
     """
-    trees = root_expansion(index, q, return_trees=True)
-    chosen = trees.where(" AND ".join(f"{p} = {int(v)}" for p, v in zip(q.ids, pattern_ids, strict=True)))
+    chosen = root_expansion(index, q, return_trees=True, pattern_ids=pattern_ids)
     columns = answer_columns(index, pattern_ids, names)
     # a pattern's subtree is known by the nodes of its paths; equal subtrees (from repeated edges) are counted and written out again
     key = F.flatten(F.array(*(F.col(f"nodes{w}") for w in range(1, len(q.words) + 1))))
