@@ -55,7 +55,8 @@ def answer_table(index: PathIndex, q: Query, pattern_ids: list[int], names: str
     best_first = [order_key("tree_score").desc(), F.asc("nodes")]
     if with_ids:
         return cells.orderBy(*best_first).select("tree_score", *(F.col("cells")[i].alias(n) for i, (n, _, _) in enumerate(columns)))
-    texts = index.graph.nodes.select("node_id", "text")
+    chosen_labels = index.patterns.where(F.col("pattern_id").isin(list(set(pattern_ids)))).select("labels").collect()  # a row for each word
+    texts = index.graph.texts([r["labels"] for r in chosen_labels])
     once = cells.groupBy("nodes", "cells").agg(F.max("tree_score").alias("tree_score"), F.count(F.lit(1)).alias("times"))
     long = once.select("nodes", "tree_score", "times", F.posexplode("cells").alias("at", "node_id")).join(texts, "node_id", "left")
     wide = long.groupBy("nodes").agg(F.max("tree_score").alias("tree_score"), F.max("times").alias("times"), F.map_from_entries(F.collect_list(F.struct("at", "text"))).alias("by_place"))
