@@ -5,8 +5,8 @@ few SimHash fingerprints; those within the radius in one of them are candidates,
 ``simhash`` with its rows for each node bounded. A candidate becomes a link only if the whole sets have the similarity or
 more, so no link is below it; a pair at the similarity itself is missed by all families only with a small chance.
 
-No group is paired out. In each bucket a node that has up to FEW earlier candidates reports them all, any other its nearest
-one, and both sides of what it leaves out are marked as crowded. The nearest candidates are checked first and closed into
+No group is paired out. In each bucket a node reports the nearest of its earlier candidates (all, if there are no more than FEW), and
+both sides of what it leaves out are marked as crowded. The nearest candidates are checked first and closed into
 components; what remains to be checked are the reported pairs and the pairs of crowded nodes, found once more, that lie
 across components, as far as their sizes and parity maps allow the similarity (two sets differ in as many members at least
 as their maps differ in bits, so no similar pair is left out there).
@@ -33,8 +33,9 @@ from .simhash import CHUNK_PAIRS, HOT_ROWS, HOT_SHARE, SEED, _majority, _mix, al
 
 #: Fingerprints of each node, and stored and probed values of each of them at most (the bytes that a document moves).
 FAMILIES, MOST_ROWS = 3, 40
-#: Earlier candidates that a node reports from one bucket; of more it reports the nearest.
-FEW = 8
+#: Earlier candidates that a node reports from one bucket; of more it reports the nearest. At 1 a bucket of any size reports no more
+#: rows than it has.
+FEW = 1
 #: Bits of a set's parity map, and of the short one that crowded nodes carry.
 MAP_BITS, SHORT_BITS = 1_024, 256
 SHORT = [f"m{i}" for i in range(SHORT_BITS // 64)]
@@ -137,8 +138,10 @@ def close_pairs(data: np.ndarray, families: int, radius: int) -> Iterator[tuple[
 
 
 def reported(data: np.ndarray, families: int, radius: int) -> np.ndarray:
-    """Rows (a, b, distance, crowded) of the candidates of whole buckets: b is the earlier node, or a itself in a mere mark."""
+    """Rows (a, b, distance, crowded) of the candidates of whole buckets, FEW at most for each row of a bucket: b is the earlier
+    node, or a itself in a mere mark; crowded says that candidates of a were left out or a as one."""
     found = [np.empty((0, 4), dtype=np.int64)]
+    passed = [np.empty(0, dtype=np.int64)]
     for i, j, d in close_pairs(data, families, radius):
         x, y = data[i, 1], data[j, 1]
         pairs = np.stack([np.maximum(x, y), np.minimum(x, y), d, data[i, 0] >> 1], axis=1)[x != y]
@@ -148,12 +151,17 @@ def reported(data: np.ndarray, families: int, radius: int) -> np.ndarray:
         new = np.append(True, (pairs[1:, 0] != pairs[:-1, 0]) | (pairs[1:, 3] != pairs[:-1, 3]))
         group = np.cumsum(new) - 1
         many = np.bincount(group)[group] > FEW
-        kept = pairs[new | ~many]
-        kept[:, 3] = 0
-        named = np.unique(pairs[many][:, :2])  # both sides of pairs that are left out
-        marks = np.stack([named, named, np.full(len(named), NO_PAIR), np.ones(len(named), dtype=np.int64)], axis=1)
-        found += [np.unique(kept, axis=0), marks]
-    return np.unique(np.concatenate(found), axis=0)
+        pairs[:, 3] = many
+        found.append(np.unique(pairs[new | ~many], axis=0))
+        passed.append(np.unique(pairs[many, 1]))
+    rows = np.unique(np.concatenate(found), axis=0)
+    # of one pair the last row counts; earlier nodes of what is left out are crowded as well, with a row of their own if they have none
+    rows = rows[np.append(np.any(rows[1:, :2] != rows[:-1, :2], axis=1), True)] if len(rows) else rows
+    named = np.unique(np.concatenate(passed))
+    rows[np.isin(rows[:, 0], named), 3] = 1
+    named = np.setdiff1d(named, rows[:, 0])
+    marks = np.stack([named, named, np.full(len(named), NO_PAIR), np.ones(len(named), dtype=np.int64)], axis=1)
+    return np.concatenate([rows, marks])
 
 
 def candidates(nodes: DataFrame, parts: list[tuple[str, list[int], int]], families: int, radius: int) -> DataFrame:
