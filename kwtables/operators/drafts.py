@@ -16,7 +16,9 @@ from .search import Query, backward_postings, enumerate_then_group, must_check,
 def online_index(graph: KnowledgeGraph, q: Query, d: int, nearest_match_only: bool) -> PathIndex:
     """Postings of one query's words, gathered by backward walks, in the place of a stored index."""
     postings, patterns = backward_postings(graph, q, d, nearest_match_only)
-    return PathIndex(graph, d, paths=graph.nodes.limit(0), patterns=store(patterns), full=store(postings))
+    # subtrees of a walked graph are always checked: to find the check idle, every edge would be read
+    facts = {"check": True} if graph.parts is not None else {}
+    return PathIndex(graph, d, paths=graph.nodes.limit(0), patterns=store(patterns), full=store(postings), facts=facts)
 
 
 def draft_backward(graph: KnowledgeGraph, q: Query, d: int, k: int | None = 100, nearest_match_only: bool = True) -> DataFrame:
